@@ -1,0 +1,481 @@
+"""Each operator against a brute-force version, on odd fixtures and on the smallest tables."""
+
+import hashlib
+import random
+import re
+import zlib
+from collections import Counter, defaultdict
+
+import duckdb
+import numpy as np
+import pytest
+import xxhash
+
+from treefix.llm import block_neighbours, license_rules, metric_tree, packing, sampled_segments, secrets_cnn, simhash_pivots, substring_dedup, token_counts, tokens, toxicity
+from treefix.llm.queries import ORACLE_SQL, QUERIES
+from treefix.llm.shared import free_name, ship
+
+DOCS = "doc_id bigint, text string, lang string, source string, n_chars bigint, score int, key string"
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    """Nulls, empty and long texts, repeated rows, copies, clashing names."""
+    ship(spark)
+    rng = random.Random(5)
+    words = ["".join(rng.choice("abcdeé") for _ in range(rng.randint(2, 6))) for _ in range(300)]
+    text = lambda n: " ".join(rng.choice(words) for _ in range(n))
+    passage, long = text(60), text(3000)
+    texts = [None, "", " \t\n", "a", "Mit License", text(34), text(35), passage, text(20) + " " + passage + "\n" + text(30), "x " + passage + " " + passage, long, long, text(2000) + " " + passage, long.upper()]
+    near = text(400).split()
+    for k in range(6):
+        copy = list(near)
+        copy[10 + k] = "changed" + str(k)
+        texts.append("  ".join(copy))
+    texts += [text(rng.randint(1, 200)) for _ in range(40)]
+    rows = [(i, t, "en", "s", None, 1, "k") for i, t in enumerate(texts)]
+    rows += [rows[8], rows[8], (None, passage, None, None, None, None, None), (None, None, None, None, None, None, None)]
+    return spark.createDataFrame(rows, DOCS).repartition(5)
+
+
+@pytest.fixture(scope="module")
+def empty(spark):
+    ship(spark)
+    return spark.createDataFrame([], DOCS)
+
+
+def split(text):
+    return re.findall(rb"[^\x20\x09-\x0D]+", (text or "").encode())
+
+
+def brute_repeats(texts, window):
+    where = defaultdict(set)
+    held = [split(t) for t in texts]
+    for d, w in enumerate(held):
+        for i in range(len(w) - window + 1):
+            where[tuple(w[i : i + window])].add((d, i))
+    gone = [set() for _ in texts]
+    for places in where.values():
+        if len(places) > 1:
+            for d, i in places:
+                gone[d] |= set(range(i, i + window))
+    return [(len(w), len(g), hashlib.sha256(b" ".join(x for i, x in enumerate(w) if i not in g)).hexdigest()) for w, g in zip(held, gone)]
+
+
+@pytest.mark.parametrize("period", [7, 13, 21, 31])
+def test_difference_cover(period):
+    cover = substring_dedup.difference_cover(period)
+    assert {(a - b) % period for a in cover for b in cover} == set(range(period))
+    assert len(cover) * (len(cover) - 1) + 1 == period
+
+
+@pytest.mark.parametrize("window,period", [(35, 21), (10, 7), (5, 1)])
+def test_repeats_match_brute_force(odd, window, period):
+    rows = odd.collect()
+    want = Counter(zip([r["doc_id"] for r in rows], brute_repeats([r["text"] for r in rows], window)))
+    found = substring_dedup.remove_repeats(odd, window=window, period=period).collect()
+    assert Counter((r["doc_id"], (r["n_words"], r["n_removed"], r["kept_sha256"])) for r in found) == want
+    for r in found:  # the kept text has exactly the kept words
+        assert hashlib.sha256(b" ".join(split(r["kept_text"]))).hexdigest() == r["kept_sha256"]
+
+
+def test_repeats_over_tables(spark, small):
+    got = {tuple(r) for r in QUERIES["op2_substring_dedup"](spark, small).collect()}
+    docs = spark.read.parquet(f"{small}/documents.parquet").collect()
+    assert got == {(d["doc_id"], *x) for d, x in zip(docs, brute_repeats([d["text"] for d in docs], 35))}
+    assert any(x[2] for x in got)
+
+
+def brute_fingerprint(text):
+    low = (text or "").encode().translate(bytes(c + 32 if 65 <= c <= 90 else c for c in range(256)))
+    w = re.findall(rb"[^\x20\x09-\x0D]+", low)
+    if not w:
+        return 0
+    grams = [b" ".join(w[i : i + 4]) for i in range(len(w) - 3)] if len(w) >= 4 else [b" ".join(w)]
+    hashes = [xxhash.xxh64_intdigest(g, 42) for g in grams]
+    return sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hashes) > len(hashes))
+
+
+def brute_components(fps, ids):
+    distinct = sorted(set(fps))
+    root = {f: f for f in distinct}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for i, a in enumerate(distinct):
+        for b in distinct[i + 1 :]:
+            if (a ^ b).bit_count() <= 4:
+                root[find(a)] = find(b)
+    least = {}
+    for f, i in zip(fps, ids):
+        if i is not None:
+            least[find(f)] = min(i, least.get(find(f), i))
+    return [least.get(find(f)) for f in fps]
+
+
+def test_near_duplicates(odd):
+    rows = odd.collect()
+    fps = [brute_fingerprint(r["text"]) for r in rows]
+    want = Counter(zip((r["doc_id"] for r in rows), (f"{f:016x}" for f in fps), brute_components(fps, [r["doc_id"] for r in rows])))
+    assert Counter(tuple(r) for r in simhash_pivots.near_duplicates(odd).collect()) == want
+
+
+def test_near_duplicates_over_tables(spark, small):
+    docs = spark.read.parquet(f"{small}/documents.parquet").collect()
+    fps = [brute_fingerprint(d["text"]) for d in docs]
+    want = {(d["doc_id"], f"{f:016x}", c) for d, f, c in zip(docs, fps, brute_components(fps, [d["doc_id"] for d in docs]))}
+    assert {tuple(r) for r in QUERIES["op6_simhash_near_dedup"](spark, small).collect()} == want
+
+
+def test_links_of_planted_fingerprints(spark, monkeypatch):
+    """Chains and a crowded neighbourhood, also when every key is dealt to several tasks."""
+    rng = random.Random(3)
+    fps = [rng.getrandbits(64) for _ in range(200)]
+    for f in fps[:30]:
+        for _ in range(8):
+            fps.append(fps[-1] ^ sum(1 << b for b in rng.sample(range(64), 4)))
+            fps.append(f ^ sum(1 << b for b in rng.sample(range(64), rng.randint(1, 6))))
+    want = brute_components(fps, list(range(len(fps))))
+    for limit in (4096, 3):
+        monkeypatch.setattr(simhash_pivots, "KEY_LIMIT", limit)
+        held = spark.createDataFrame([(f - (1 << 64) if f >> 63 else f,) for f in set(fps)], "fp bigint")
+        links = [(r["a"] % (1 << 64), r["b"] % (1 << 64)) for r in simhash_pivots.fingerprint_links(held).collect()]
+        assert all((a ^ b).bit_count() <= 4 for a, b in links)
+        ids = spark.createDataFrame([(f - (1 << 64) if f >> 63 else f, i) for f, i in {f: i for i, f in reversed(list(enumerate(fps)))}.items()], "fp bigint, id bigint")
+        label = {r["a"]: r["label"] for r in simhash_pivots.components(simhash_pivots.fingerprint_links(held), ids).collect()}
+        first = {f: i for i, f in reversed(list(enumerate(fps)))}
+        assert [label.get(first[f], first[f]) for f in fps] == want
+
+
+def test_resolving_sets():
+    for bits in (10, 11):
+        refs = simhash_pivots.resolving_set(bits)
+        assert len(refs) <= 16
+        assert len({tuple((v ^ p).bit_count() for p in refs) for v in range(1 << bits)}) == 1 << bits
+
+
+def check_pieces(rows, docs, capacity=1024):
+    from tokenizers import Tokenizer
+
+    own = Tokenizer.from_file(tokens.vocabulary_path())
+    own.encode_special_tokens = True
+    want = Counter()
+    for d in docs:
+        ids = own.encode(d["text"] or "", add_special_tokens=False).ids + [0]
+        for s in range(0, len(ids), capacity):
+            piece = ids[s : s + capacity]
+            want[d["doc_id"], s, len(piece), zlib.crc32(np.array(piece, "<u4").tobytes()), len(ids)] += 1
+    assert Counter((r["doc_id"], r["start"], r["length"], r["ids_crc32"], r["doc_tokens"]) for r in rows) == want
+    sequences = defaultdict(list)
+    for r in rows:
+        sequences[r["sequence_id"]].append((r["offset"], r["length"]))
+    for parts in sequences.values():
+        at = 0
+        for offset, length in sorted(parts):
+            assert offset == at
+            at += length
+        assert at <= capacity
+    return sequences
+
+
+def test_packing(odd, empty):
+    check_pieces(packing.pack(odd).collect(), odd.collect())
+    assert packing.pack(empty).count() == 0
+
+
+def test_packing_over_tables(spark, tiny):
+    rows = QUERIES["op3_packing"](spark, tiny).collect()
+    sequences = check_pieces(rows, spark.read.parquet(f"{tiny}/documents.parquet").collect())
+    assert len(sequences) * 1024 < 1.02 * sum(r["length"] for r in rows) + 1024
+
+
+def brute_best_fit(histogram, capacity):
+    rooms = []
+    for length in sorted(histogram, reverse=True):
+        for _ in range(histogram[length]):
+            best = min((r for r in rooms if r >= length), default=None)
+            if best is None:
+                rooms.append(capacity - length)
+            else:
+                rooms.remove(best)
+                rooms.append(best - length)
+    return sorted(rooms)
+
+
+def test_plan_is_best_fit_decreasing():
+    rng = random.Random(1)
+    for _ in range(40):
+        histogram = {rng.randint(1, 99): rng.randint(1, 30) for _ in range(rng.randint(1, 25))}
+        used = defaultdict(int)
+        for length, _, pieces, per, window, offset in packing.best_fit_plan(histogram, 100):
+            for t in range(pieces):
+                assert used[window + t // per] == offset + t % per * length
+                used[window + t // per] += length
+        assert sorted(100 - u for u in used.values()) == brute_best_fit(histogram, 100)
+
+
+def test_ids_equal_those_of_tokenizers():
+    from tokenizers import Tokenizer
+
+    own = Tokenizer.from_file(tokens.vocabulary_path())
+    own.encode_special_tokens = True
+    rng = random.Random(2)
+    texts = ["", "it's we'LL  \n\n x", "<|endoftext|> é漢字 🙂‍", "a" * 3000, "12 34,5%% \t end "] + ["".join(rng.choice("ab1 .,'s\né漢") for _ in range(400)) for _ in range(50)]
+    texts += [" ".join(rng.choice(["abc", "it's", "x1", "été", "\n", "  ", "12"]) for _ in range(60_000))]
+    for t in texts:
+        assert tokens.encode(t, tokens.vocabulary_path()).tolist() == own.encode(t, add_special_tokens=False).ids
+
+
+def test_token_counts(odd, empty):
+    lengths = [len(tokens.encode(r["text"], tokens.vocabulary_path())) for r in odd.collect()]
+    rows = {r["length"]: r for r in token_counts.context_totals(token_counts.length_histogram(odd)).collect()}
+    assert set(rows) == set(lengths)
+    for n, r in rows.items():
+        assert (r["n_docs"], r["docs_from"], r["tokens_from"]) == (lengths.count(n), sum(x >= n for x in lengths), sum(x for x in lengths if x >= n))
+        assert r["kept_tokens"] == sum(min(x, n) for x in lengths)
+        assert r["quantile"] == pytest.approx(sum(x <= n for x in lengths) / len(lengths))
+    assert token_counts.kept_at(token_counts.length_histogram(odd), [7]).first()["kept_7"] == sum(min(x, 7) for x in lengths)
+    assert token_counts.context_totals(token_counts.length_histogram(empty)).count() == 0
+    assert token_counts.length_quantiles(token_counts.length_histogram(odd), [0.5]).first()[0] == sorted(lengths)[(len(lengths) - 1) // 2]
+
+
+def test_samples_are_distinct_round_trips(odd):
+    net = sampled_segments.lattice(sampled_segments.model_path(), 2.0)
+    texts = [r["text"] for r in odd.where("length(text) < 3000").collect()] + ["été  漢字🙂 a", "▁x", "\n"]
+    for n, t in enumerate(texts):
+        found = net.sample(t, 4, np.random.default_rng(n))
+        assert len({tuple(ids) for ids, *_ in found}) == len(found)
+        assert all(net.decode(ids) == t.replace("▁", " ") for ids, *_ in found)
+        values = [v for *_, v, _ in found]
+        assert values == sorted(values, reverse=True)
+        assert all(0 <= i <= 1 for *_, i in found)
+
+
+def test_sampling_follows_the_lattice():
+    """First samples occur as often as their probability; inclusion scores estimate sums without bias."""
+    net = sampled_segments.lattice(sampled_segments.model_path(), 0.5)
+    everything = net.sample("their", 10_000, np.random.default_rng(0))
+    share = {tuple(ids): np.exp(p) for ids, p, *_ in everything}
+    assert sum(share.values()) == pytest.approx(1)
+    assert all(i == 1.0 for *_, i in everything)
+    n = 4000
+    first, estimate = Counter(), 0.0
+    for s in range(n):
+        found = net.sample("their", 3, np.random.default_rng(s))
+        first[tuple(found[0][0])] += 1
+        estimate += sum(np.exp(p) / i for _, p, _, i in found) / n
+    for ids, p in share.items():
+        assert abs(first[ids] / n - p) < 5 * np.sqrt(p / n) + 1e-3
+    assert estimate == pytest.approx(1, abs=0.05)
+
+
+def test_samples_depend_on_the_key_alone(spark, tiny):
+    rows = spark.read.parquet(f"{tiny}/conversations.parquet")
+    one = {tuple(map(str, r)) for r in sampled_segments.sample_segmentations(rows, ["conv_id", "turn"]).collect()}
+    two = {tuple(map(str, r)) for r in sampled_segments.sample_segmentations(rows.repartition(7), ["conv_id", "turn"]).collect()}
+    assert one == two and len(one) > rows.count()
+
+
+@pytest.fixture(scope="module")
+def vectors(spark):
+    ship(spark)
+    rng = np.random.default_rng(4)
+    m = rng.standard_normal((300, 12)).astype(np.float32)
+    m[50:150] = m[7]  # a common vector
+    rows = [(i, [float(x) for x in v], 1) for i, v in enumerate(m)]
+    rows += [(1000, None, 1), (1020, [0.0] * 12, 1), (1040, [float("nan")] + [1.0] * 11, 1), (1060, [None] + [1.0] * 11, 1), (1080, [float("inf")] * 12, 1), (1100, [], 1), (None, [1.0] * 12, 1)]
+    return spark.createDataFrame(rows, "vec_id bigint, embedding array<float>, rank int").repartition(4)
+
+
+def brute_top(rows, k, score):
+    out = {}
+    for q, x in rows.items():
+        if q % 20 == 0:
+            found = sorted(((-score(x, y), v) for v, y in rows.items() if v != q))[:k]
+            out |= {(q, n + 1): (v, -s) for n, (s, v) in enumerate(found)}
+    return out
+
+
+def sequential(x, y):
+    total = 0.0
+    for a, b in zip(x, y):
+        total += a * b
+    return total
+
+
+def test_nearest(vectors, monkeypatch):
+    monkeypatch.setattr(block_neighbours, "CANDIDATE_ROWS", 64)
+    monkeypatch.setattr(block_neighbours, "QUERY_ROWS", 5)
+    good = {r["vec_id"]: list(r["embedding"]) for r in vectors.where("vec_id < 300").collect()}
+    got = {(r["query_id"], r["rank"]): (r["vec_id"], r["score"]) for r in block_neighbours.nearest(vectors.where("vec_id % 20 = 0"), vectors).collect()}
+    assert got == brute_top(good, 20, sequential)
+    few = vectors.where("vec_id < 5 OR vec_id >= 1000")
+    assert block_neighbours.nearest(few, few, k=20).where("query_id = 0").count() == 4
+    assert block_neighbours.nearest(few.limit(0), few).count() == 0
+
+
+def test_metric_tree(vectors, monkeypatch):
+    monkeypatch.setattr(metric_tree, "SHARD_ROWS", 100)
+    monkeypatch.setattr(metric_tree, "PAGE", 8)
+    good = {r["vec_id"]: np.floor(64 * np.array(r["embedding"], dtype=np.float64)).astype(int) for r in vectors.where("vec_id < 300 OR vec_id = 1020").collect()}
+    got = {(r["query_id"], r["rank"]): (r["vec_id"], r["score"]) for r in metric_tree.top_products(vectors.where("vec_id % 20 = 0"), vectors).collect()}
+    assert got == brute_top(good, 20, lambda a, b: int(a @ b))
+
+
+def test_tree_saves_products():
+    rng = np.random.default_rng(0)
+    rows = np.concatenate([rng.integers(-50, 50, (1, 16)) + rng.integers(-3, 3, (300, 16)) for _ in range(20)])
+    tree = metric_tree.MetricTree.load(metric_tree.MetricTree.build(np.arange(len(rows)), rows, page=32, fanout=8).dump())
+    heap: list = []
+    computed = tree.search(3, rows[3], 10, heap)
+    want = sorted(((int(rows[i] @ rows[3]), -i) for i in range(len(rows)) if i != 3), reverse=True)[:10]
+    assert sorted(heap, reverse=True) == want
+    assert computed < len(rows) / 2
+
+
+ASSIGN = r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
+
+
+def brute_spans(text):
+    found = [(m.start(), 0, m.end()) for m in re.finditer(ASSIGN, text, re.I | re.A) if len(m[2]) >= 6]
+    found += [(m.start(), 1, m.end()) for m in re.finditer("AKIA[A-Z0-9]+", text) if len(m[0]) >= 20]
+    found += [(m.start(), 2, m.end()) for m in re.finditer("[0-9a-f]+", text) if len(m[0]) >= 24]
+    return sorted(found)
+
+
+def test_secrets(spark, small):
+    ship(spark)
+    texts = [None, "", 'é Token = "abcdef" password:short token:token:abcdefg', "AKIA" + "A" * 16 + " AKIA123 AKIAAKIA" + "B" * 12, "f" * 24 + "g" + "0" * 23, "PASSWD='aaaaaa" + "0" * 30, "api_key: ab api-key: abcdefgh APIKEY=x.y-z/+", "ſecret=abcdefgh toKen=abcdefgh", "auth: ghp_A8f3kLmQ92xTz7Vb1NcR5dWe0YuJ"]
+    rows = [(i, t) for i, t in enumerate(texts)] + [(d["doc_id"] + 100, d["text"]) for d in spark.read.parquet(f"{small}/documents.parquet").collect()]
+    found = secrets_cnn.scan_secrets(spark.createDataFrame([*rows, rows[2]], "doc_id bigint, text string"), mask=True).collect()
+    text_of = dict(rows)
+    assert len(found) == len(rows) + 1
+    for r in found:
+        want = brute_spans(text_of[r["doc_id"]] or "")
+        assert (r["n_assign"], r["n_access"], r["n_hex"]) == tuple(sum(k == n for _, k, _ in want) for n in range(3))
+        base = ",".join(f"{('assign', 'access', 'hex')[k]}:{s}:{e}" for s, k, e in want)
+        assert r["base_sha256"] == hashlib.sha256(base.encode()).hexdigest()
+        assert set(filter(None, base.split(","))) <= set(r["spans"].split(","))
+        assert len(r["scores"]) == len([x for x in r["spans"].split(",") if x])
+        if not r["spans"]:
+            assert r["masked"] == text_of[r["doc_id"]]
+    masked = {r["doc_id"]: r["masked"] for r in found}
+    assert "ghp_" not in masked[8] and "abcdef" not in masked[2].split("password")[0]
+    quiet = sum("learned" in r["spans"] for r in found if r["doc_id"] >= 100)
+    assert quiet <= 0.02 * len(found)
+
+
+def test_secret_network_keeps_recall():
+    net = secrets_cnn.trained()
+    rows, y = secrets_cnn.labelled_findings(1500, seed=99)
+    p = net.probability(rows)
+    assert (p[y == 1] >= net.threshold).mean() >= 0.95
+    assert (p[y == 0] < net.threshold).mean() >= 0.9
+
+
+def brute_licenses(text):
+    low = (text or "").translate(str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"))
+    w = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", low)
+    places = [(i, label) for phrase, label in license_rules.BASE for i in range(len(w)) if w[i : i + len(phrase.split())] == phrase.split()]
+    at = [i for i, _ in places]
+    return (len(w), len(at), min(at, default=None), max(at, default=None), ",".join(sorted({x for _, x in places})))
+
+
+def test_licenses(spark, small):
+    ship(spark)
+    texts = [None, "", "MIT License", "mit-license\n\nMIT, license. mit licenses", "CC-BY 4.0 cc by cc/by", "the GNU General Public License v3 or later, apache license 2.0", "é MIT licenseé mit license", "submit license", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software. MIT License " * 30]
+    rows = [(i, t) for i, t in enumerate(texts)] + [(d["doc_id"] + 100, d["text"]) for d in spark.read.parquet(f"{small}/documents.parquet").collect()]
+    text_of = dict(rows)
+    found = license_rules.detect_licenses(spark.createDataFrame([*rows, rows[3]], "doc_id bigint, text string")).collect()
+    assert len(found) == len(rows) + 1
+    for r in found:
+        assert (r["n_words"], r["n_base"], r["first_word"], r["last_word"], r["base_labels"]) == brute_licenses(text_of[r["doc_id"]])
+        assert set(filter(None, r["base_labels"].split(","))) <= set(r["labels"].split(","))
+        assert 0 <= r["score"] <= 1
+    by = {r["doc_id"]: r for r in found}
+    assert "gpl-3-or-later" in by[5]["labels"] and "apache-2" in by[5]["labels"]
+    kept = [(d["label"], d["first"], d["end"]) for d in by[5]["detections"]]
+    assert ("gpl", 1, 5) in kept  # a base phrase stays although the longer notice contains it
+    assert len({(d["first"], d["end"]) for d in by[8]["detections"]}) == len(by[8]["detections"])
+
+
+def test_there_are_hundreds_of_rules():
+    own = license_rules.rules()
+    assert len(own) >= 200 and {r.priority for r in own} <= {1, 2, 3}
+    for r in own:
+        re.compile(r.pattern)
+
+
+def test_toxicity_on_held_out_rows(spark, small):
+    rows = QUERIES["op1_toxicity"](spark, small).collect()
+    docs = {d["doc_id"] for d in spark.read.parquet(f"{small}/documents.parquet").collect()}
+    assert {r["doc_id"] for r in rows} == docs and len(rows) == len(docs)
+    assert all(0 <= r["score"] <= 1 and r["predicted"] == int(r["score"] >= 0.7) for r in rows)
+    assert all(r["held_out"] == (zlib.crc32(str(r["doc_id"]).encode()) % 3 == 1) for r in rows)
+    toxic = {x["doc_id"]: x["toxic"] for x in spark.read.parquet(f"{small}/labels.parquet").collect()}
+    held = [(r["score"], toxic[r["doc_id"]]) for r in rows if r["held_out"] and r["doc_id"] in toxic]
+    ones, zeros = [s for s, y in held if y], [s for s, y in held if not y]
+    assert np.mean([a > b for a in ones for b in zeros]) > 0.8
+
+
+def test_network_gradients():
+    net = toxicity.Network.fresh(1)
+    rng = np.random.default_rng(0)
+    x = rng.standard_normal((toxicity.WINDOW, 5, toxicity.WORD_DIM + toxicity.CHAR_DIM))
+    real = np.ones((toxicity.WINDOW, 5), dtype=bool)
+    real[20:, 2] = False
+    y, w = np.array([0, 1, 1, 0, 1.0]), np.ones(5)
+
+    def loss():
+        projected = np.where(real[..., None], net.projected(x), net.padding()[0])
+        z = net._run(projected, real)[0]
+        return float(np.mean(w * (np.log1p(np.exp(z)) - y * z)))
+
+    net.p = {k: v.astype(np.float64) if k not in ("word", "char") else v for k, v in net.p.items()}
+    g, d_x = net.gradients(x, real, y, w)
+    for name, grad in g.items():
+        at = tuple(rng.integers(0, s) for s in net.p[name].shape)
+        held = net.p[name][at]
+        net.p[name][at] = held + 1e-3
+        up = loss()
+        net.p[name][at] = held - 1e-3
+        down = loss()
+        net.p[name][at] = held
+        assert (up - down) / 2e-3 == pytest.approx(grad[at], abs=2e-5, rel=0.05), name
+
+
+def test_toxicity_on_odd_rows(odd, empty):
+    net = toxicity.fit([b"good day all", b"you idiot", b"fine words here", b"idiot idiot"] * 20, [0, 1, 0, 1] * 20)
+    rows = toxicity.score_toxicity(odd, net).collect()
+    assert len(rows) == odd.count() and all(0 <= r["score"] <= 1 for r in rows)
+    assert [c for c in toxicity.score_toxicity(odd, net).columns if c != "score"] == [c for c in odd.columns if c != "score"]
+    assert toxicity.score_toxicity(empty, net).count() == 0
+    s = toxicity.Scorer(net).score([b"an idiot " + b"calm " * 400, b"calm " * 400])
+    assert s[0] > s[1]
+    assert toxicity.Scorer(toxicity.fit([], [])).score([b"x", None]).tolist() == [0.0, 0.0]
+
+
+@pytest.mark.parametrize("run", [
+    lambda d: substring_dedup.remove_repeats(d), lambda d: simhash_pivots.near_duplicates(d), lambda d: secrets_cnn.scan_secrets(d),
+    lambda d: license_rules.detect_licenses(d), lambda d: sampled_segments.sample_segmentations(d, ["doc_id"]), lambda d: secrets_cnn.mask_secrets(d),
+])
+def test_empty_tables(empty, run):
+    assert run(empty).count() == 0
+
+
+def test_free_name():
+    assert free_name(["a", "A_"], "a") == "a__"
+
+
+def test_oracle_sql(spark, tiny):
+    con = duckdb.connect()
+    for t in ("documents", "embeddings"):
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{tiny}/{t}.parquet'")
+    for name, text in ORACLE_SQL.items():
+        got = QUERIES[name](spark, tiny)
+        want = con.sql(text)
+        assert sorted(want.columns) == sorted(got.columns)
+        assert sorted(map(tuple, got.select(*want.columns).collect())) == sorted(want.fetchall())
