@@ -30,7 +30,7 @@ from treefix.llm.block_neighbours import merged
 from treefix.llm.shared import stage
 from treefix.llm.vectors import blocks, tiles, usable
 
-K, SCALE, PAGE, FANOUT, SHARD_ROWS, QUERY_ROWS, LANES = 20, 64, 128, 16, 16384, 512, 8
+K, SCALE, PAGE, FANOUT, SHARD_ROWS, QUERY_ROWS, LANES = 20, 64, 512, 16, 16384, 512, 8
 SLACK = 1e-6
 
 
@@ -38,7 +38,7 @@ class MetricTree:
     """A paged M-tree over whole-number rows. Nodes lie level by level, so the
     children of a node, and the rows of a leaf, are slices."""
 
-    FIELDS = ("ids", "rows", "lift", "to_parent", "route", "route_lift", "radius", "above", "first", "last", "leaf", "top")
+    FIELDS = ("ids", "rows", "reach", "lift", "to_parent", "route", "route_lift", "radius", "above", "first", "last", "leaf", "top")
 
     def __init__(self, **fields):
         self.__dict__.update(fields)
@@ -95,8 +95,9 @@ class MetricTree:
                 nodes["last"][parent] = base + k + 1
             queue = [f[:4] for f in following]
         centre = np.array(nodes["centre"])
+        reach = int(np.abs(rows).max(initial=0)) * max(rows.shape[1], 1)
         return cls(
-            ids=ids[order], rows=rows[order], lift=points[order, -1], to_parent=member_dist, route=rows[centre], route_lift=points[centre, -1], radius=np.array(nodes["radius"]),
+            ids=ids[order], rows=rows[order].astype(np.float64) if reach < 1 << 53 else rows[order], reach=np.array(min(reach, 1 << 62)), lift=points[order, -1], to_parent=member_dist, route=rows[centre], route_lift=points[centre, -1], radius=np.array(nodes["radius"]),
             above=np.array(nodes["above"]), first=np.array(nodes["first"]), last=np.array(nodes["last"]), leaf=np.array(nodes["leaf"]), top=np.array(top),
         )
 
@@ -113,6 +114,11 @@ class MetricTree:
     def search(self, q_id: int, q: np.ndarray, k: int, heap: list[tuple[int, int]]) -> int:
         """Merges the tree's best rows into ``heap`` of (score, -id); how many products it computed."""
         q_norm, top = int((q * q).sum()), int(self.top)
+        # whole numbers are exact in double below 2**53, and products of doubles are faster
+        exact = self.rows.dtype == np.float64 and float(np.abs(q).max(initial=0)) * float(self.reach) < 1 << 53
+        own = q.astype(np.float64) if exact else q
+        if not exact and self.rows.dtype == np.float64:
+            self.rows = self.rows.astype(np.int64)
         computed = 0
 
         def reach() -> float:
@@ -131,15 +137,22 @@ class MetricTree:
                 break
             first, last = int(self.first[node]), int(self.last[node])
             if self.leaf[node]:
-                near = np.flatnonzero(np.abs(self.to_parent[first:last] - dist) <= limit + SLACK) + first
-                if not len(near):
+                ruled_in = np.abs(self.to_parent[first:last] - dist) <= limit + SLACK
+                count = int(np.count_nonzero(ruled_in))
+                if not count:
                     continue
-                products = self.rows[near] @ q
-                computed += len(near)
-                if len(heap) == k:
-                    good = products >= heap[0][0]
-                    near, products = near[good], products[good]
-                for score, i in zip(products.tolist(), self.ids[near].tolist()):
+                computed += count
+                if 4 * count >= 3 * (last - first):  # nearly all: without copying the page
+                    products = self.rows[first:last] @ own
+                    good = ruled_in if len(heap) < k else ruled_in & (products >= heap[0][0])
+                    near, products = np.flatnonzero(good) + first, products[good]
+                else:
+                    near = np.flatnonzero(ruled_in) + first
+                    products = self.rows[near] @ own
+                    if len(heap) == k:
+                        good = products >= heap[0][0]
+                        near, products = near[good], products[good]
+                for score, i in zip(products.astype(np.int64).tolist(), self.ids[near].tolist()):
                     if i == q_id:
                         continue
                     if len(heap) < k:
