@@ -7,7 +7,7 @@ Only word positions whose residue modulo ``period`` lies in a difference cover
 are hashed (6 of 31, 5 of 21 ...). For any two positions some shift below
 ``period`` brings both onto the cover, so two equal windows always share an
 anchor of ``window - period + 1`` words at one offset. Anchors that occur twice
-are extended: the full windows around them are hashed (128 bits) and compared.
+are extended: the full windows around them are hashed (96 bits) and compared.
 
 Hot sequences: every task keeps one representative of a hash for the shuffle and
 passes the other rows on, spread by row, so no key gathers more than
@@ -76,23 +76,22 @@ class _Chunk:
         repeated[:-1] |= same
         head = np.ones(len(a), dtype=bool)  # the row that stands for its hash
         head[1:] = ~same
-        known = order[repeated]
-        alone = order[head]
-        take = np.concatenate([alone, known])
-        flag = np.zeros(len(take), dtype=bool)
-        flag[len(alone) :] = True
-        key = first[take].copy()
-        with np.errstate(over="ignore"):
-            key[flag] = mixed(key[flag] + (index[known].astype(np.uint64) << np.uint64(32)) + place[known].astype(np.uint64))
-        ids = pa.array([r[0] for r in self.rows], pa.int64()).take(pa.array(index[take]))
-        ths = pa.array([r[1] for r in self.rows], pa.int64()).take(pa.array(index[take]))
-        return pa.RecordBatch.from_arrays(
-            [ids, ths, pa.array(place[take].astype(np.int32)), pa.array(signed(key)), pa.array(signed(second[take])), pa.array(flag)],
-            names=["doc_id", "th", "place", "key", "extra", "known"],
-        )
+        state = np.where(head, np.where(repeated, KNOWN_HEAD, OPEN), KNOWN)
+        own = index[order]
+        key, extra = a.copy(), (b >> np.uint64(32)).astype(np.uint32)
+        # known rows are dealt by document: nothing is compared, and equal values shuffle small
+        spread = mixed(np.array([(r[1] or 0) & ((1 << 64) - 1) for r in self.rows], dtype=np.uint64) + np.arange(len(self.rows), dtype=np.uint64))
+        key[~head], extra[~head] = spread[own[~head]], 0
+        back = np.argsort(order)  # documents in order: their rows compress together
+        spot = (place[order].astype(np.int64) << 2 | state)[back]
+        ids = pa.array([r[0] for r in self.rows], pa.int64()).take(pa.array(index))
+        ths = pa.array([r[1] for r in self.rows], pa.int64()).take(pa.array(index))
+        return pa.RecordBatch.from_arrays([ids, ths, pa.array(spot.astype(np.int32)), pa.array(signed(key[back])), pa.array(extra[back].view(np.int32))], names=["doc_id", "th", "spot", "key", "extra"])
 
 
-PLACES = f"{ROW_KEY}, place int, key bigint, extra bigint, known boolean"
+#: Of a row: compared with others; known to be repeated; both, as the first of its chunk
+OPEN, KNOWN, KNOWN_HEAD = 0, 1, 2
+PLACES = f"{ROW_KEY}, spot int, key bigint, extra int"
 
 
 def _anchors(window: int, period: int):
@@ -131,7 +130,7 @@ def _windows(window: int, period: int):
             np.add.at(edge, at + 1, -1)
             starts = np.flatnonzero(np.cumsum(edge)[: last + 1] > 0)
             chunk.add(doc_id, th, starts, roll.windows(word_hashes(words), starts, window), other.windows(word_hashes(words, 7), starts, window))
-            if chunk.size >= WORD_BUDGET // 2:
+            if chunk.size >= WORD_BUDGET:
                 yield chunk.batch()
                 chunk = _Chunk()
         if chunk.size:
@@ -146,8 +145,9 @@ def _repeated(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     held, held_sent = None, False
     for batch in batches:
         table = pa.Table.from_batches([batch] if held is None else [held, batch]).combine_chunks()
-        key, extra, known = (table.column(c).to_numpy() for c in ("key", "extra", "known"))
-        same = (key[1:] == key[:-1]) & (extra[1:] == extra[:-1]) & ~known[1:] & ~known[:-1]
+        key, extra, spot = (table.column(c).to_numpy() for c in ("key", "extra", "spot"))
+        known, compared = (spot & 3) != OPEN, (spot & 3) != KNOWN
+        same = (key[1:] == key[:-1]) & (extra[1:] == extra[:-1]) & compared[1:] & compared[:-1]
         keep = known.copy()
         keep[1:] |= same
         keep[:-1] |= same
@@ -155,13 +155,14 @@ def _repeated(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             keep[0] = False
         if len(key):
             last_sent = bool(keep[-1]) or (len(key) == 1 and held_sent)
-            out = table.filter(pa.array(keep)).select(["doc_id", "th", "place"])
+            out = table.filter(pa.array(keep))
+            out = pa.table([out.column("doc_id"), out.column("th"), pa.array(spot[keep] >> 2)], names=["doc_id", "th", "place"])
             held, held_sent = table.slice(len(key) - 1).combine_chunks().to_batches()[0], last_sent
             yield from out.to_batches()
 
 
 def _places_seen_twice(found: DataFrame) -> DataFrame:
-    dealt = found.repartition("key").sortWithinPartitions("key", "extra", "known")
+    dealt = found.repartition("key").sortWithinPartitions("key", "extra", F.col("spot").bitwiseAND(3) == KNOWN)
     rows = dealt.mapInArrow(_repeated, f"{ROW_KEY}, place int")
     return rows.groupBy("doc_id", "th").agg(F.collect_set("place").alias("places"))
 
