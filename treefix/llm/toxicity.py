@@ -17,7 +17,7 @@ score is the share of label 1 (0 if there is no label). Extra columns pass throu
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -225,13 +225,18 @@ class Scorer:
         return self.net.probability(np.maximum.reduceat(self.window_logits(index), begin[:-1]).astype(np.float64))
 
 
-def _odds(items: list[set], labels: np.ndarray, size: int) -> np.ndarray:
-    """Shrunk log odds of label 1 by table row, from the documents that hold it."""
+def _seen(rows_of_doc: Iterable[np.ndarray], labels: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """How many documents, and how many of label 1, hold each table row."""
     seen, toxic = np.zeros(size), np.zeros(size)
-    for rows, y in zip(items, labels):
-        own = np.fromiter(rows, dtype=np.int64, count=len(rows))
+    for rows, y in zip(rows_of_doc, labels):
+        own = np.unique(rows)
         seen[own] += 1
         toxic[own] += y
+    return seen, toxic
+
+
+def _odds(seen: np.ndarray, toxic: np.ndarray, labels: np.ndarray) -> np.ndarray:
+    """Shrunk log odds of label 1 by table row."""
     ones, zeros = max(labels.sum(), 1), max((1 - labels).sum(), 1)
     odds = np.log((toxic + 0.5) / (ones + 1)) - np.log((seen - toxic + 0.5) / (zeros + 1))
     return (odds * seen / (seen + 8)).astype(np.float32)
@@ -258,17 +263,16 @@ def fit(texts: list[bytes | None], labels: list[int], shares: tuple[int, int] |
         cuts = np.concatenate([[0], np.cumsum(sizes)])
         return grams[np.arange(cuts[-1]) + np.repeat(ends[numbers] - cuts[:-1], sizes)], cuts
 
-    sets = [{unique[w] for w in split[i]} for i in train]
-    word_sets, char_sets = [{int(rows[k]) for k in s} for s in sets], [set(np.unique(own_grams(np.fromiter(s, np.int64, len(s)))[0]).tolist()) for s in sets]
+    numbers_of = [np.unique(np.fromiter(map(unique.__getitem__, split[i]), np.int64, len(split[i]))).astype(np.int32) for i in train]
+    del split
     # rows that few documents hold stay zero, so the fit can't learn documents by heart
     free = {}
-    for name, held, size in (("word", word_sets, WORD_ROWS), ("char", char_sets, CHAR_ROWS)):
-        seen = np.zeros(size)
-        for s in held:
-            seen[list(s)] += 1
+    for name, found, size in (("word", (rows[n] for n in numbers_of), WORD_ROWS), ("char", (own_grams(n)[0] for n in numbers_of), CHAR_ROWS)):
+        seen, toxic = _seen(found, y[train], size)
         free[name] = (seen >= LEAST_SEEN).astype(np.float32)[:, None]
-        net.p[name][:, 0] = 0.5 * _odds(held, y[train], size)
+        net.p[name][:, 0] = 0.5 * _odds(seen, toxic, y[train])
         net.p[name] *= free[name]
+    del numbers_of
     state = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in net.p.items() if k not in ("word", "char")}
     step = 0
 
