@@ -47,6 +47,17 @@ class Round:
         return any(a.pred in self.delta and self.delta[a.pred].rows > 0 for a in rule.body)
 
 
+class Given(Round):
+    """A round over frames that are simply given: for evaluating a rule once, with nothing stored."""
+
+    def __init__(self, frames: dict[str, DataFrame], stats: Stats, counts: bool = False, watch=None):
+        super().__init__(None, {}, {}, {}, stats, counts, watch or (lambda rule: None))
+        self.given = frames
+
+    def slice(self, pred: str, which: str) -> DataFrame | None:
+        return self.given.get(pred) if which == "full" else None
+
+
 def union(frames: list[DataFrame]) -> DataFrame | None:
     return reduce(lambda a, b: a.unionByName(b), frames) if frames else None
 
