@@ -17,6 +17,7 @@ from __future__ import annotations
 
 import functools
 import heapq
+import math
 import re
 from collections.abc import Iterator
 
@@ -89,8 +90,10 @@ class Lattice:
         if not text:
             return [([], 0.0, 0.0, 1.0)]
         chunks = [self.compiled(c) for c in _CHUNK.findall(SPACE + text.replace(" ", SPACE))]
+        log, log1p, exp, expm1 = math.log, math.log1p, math.exp, math.expm1
         queue, found, serial = [(-float(rng.gumbel()), 0, 0.0, 0, 0, None)], [], 0
-        draws, at = rng.gumbel(size=256), 0
+        draws, at = rng.gumbel(size=256).tolist(), 0
+        best_k: list[float] = []  # the k + 1 largest values in the queue: others can't be emitted or be the threshold
         while queue and len(found) < k:
             negative, _, phi, chunk, place, path = heapq.heappop(queue)
             value = -negative
@@ -99,26 +102,32 @@ class Lattice:
                 if len(edges) == 1:
                     share, ids, nxt = edges[0]
                 else:
-                    noisy = []
-                    for share, _, _ in edges:
-                        if at == len(draws):
-                            draws, at = rng.gumbel(size=min(2 * len(draws), 65536)), 0
-                        noisy.append(phi + share + draws[at])
-                        at += 1
+                    if at + len(edges) > len(draws):
+                        draws, at = rng.gumbel(size=max(len(edges), min(2 * len(draws), 65536))).tolist(), 0
+                    noisy = [phi + e[0] + g for e, g in zip(edges, draws[at : at + len(edges)])]
+                    at += len(edges)
                     top = max(noisy)
                     best = noisy.index(top)
-                    for e, (share, ids, nxt) in enumerate(edges):
+                    for e, x in enumerate(noisy):
                         if e != best:
+                            gap = top - x
+                            if gap <= 0.0:
+                                given = value
+                            else:  # the value given that the largest is `value`
+                                v = value - x + (log(-expm1(-gap)) if gap < 0.6931 else log1p(-exp(-gap)))
+                                given = value - v - log1p(exp(-v)) if v > 0 else value - log1p(exp(v))
+                            if len(best_k) > k and given <= best_k[0]:
+                                continue
+                            heapq.heappush(best_k, given)
+                            if len(best_k) > k + 1:
+                                heapq.heappop(best_k)
                             serial += 1
-                            v = value - noisy[e] + _log1mexp(noisy[e] - top)
-                            given = value - max(0.0, v) - float(np.log1p(np.exp(-abs(v))))
+                            share, ids, nxt = edges[e]
                             stop = nxt == len(chunks[chunk])
                             heapq.heappush(queue, (-given, serial, phi + share, chunk + stop, 0 if stop else nxt, (path, ids)))
                     share, ids, nxt = edges[best]
                 phi, path = phi + share, (path, ids)
                 chunk, place = (chunk + 1, 0) if nxt == len(chunks[chunk]) else (chunk, nxt)
-            if len(queue) > 64 * k:  # only the k best can still be emitted, and one more is the threshold
-                queue = heapq.nsmallest(k + 1, queue)
             found.append((path, phi, value))
         threshold = -queue[0][0] if queue else -np.inf
         out = []
@@ -138,13 +147,6 @@ class Lattice:
         return text[1:] if text.startswith(" ") else text
 
 
-def _log1mexp(x: float) -> float:
-    """log(1 - exp(x)) for x <= 0."""
-    if x >= 0:
-        return -np.inf
-    return float(np.log(-np.expm1(x))) if x > -0.6931 else float(np.log1p(-np.exp(x)))
-
-
 @functools.lru_cache(maxsize=2)
 def lattice(path: str, exponent: float) -> Lattice:
     return Lattice(path, exponent)
