@@ -31,7 +31,7 @@ from treefix.llm.shared import as_bytes, rows_of
 
 WINDOW, STRIDE, HIDDEN, WORD_DIM, CHAR_DIM, ATTENTION = 32, 16, 8, 6, 6, 8
 WORD_ROWS, CHAR_ROWS = 1 << 15, 1 << 15
-SAMPLE_ROWS, LEAST_STEPS, THRESHOLD, CACHE, LEAST_SEEN, RATE = 1500, 120, 0.7, 200_000, 4, 0.3
+SAMPLE_ROWS, LEAST_STEPS, THRESHOLD, CACHE, LEAST_SEEN, RATE, PART = 1500, 120, 0.7, 200_000, 4, 0.3, 20_000
 _TABLE = bytes(c + 32 if 65 <= c <= 90 else c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in range(256))
 
 
@@ -42,6 +42,10 @@ def words_of(text: bytes | None) -> list[bytes]:
 def gram_rows(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     """Table rows of the character 3- to 5-grams of words with their ends marked, word by
     word in one array, and where each word's begin (and the last ends)."""
+    if len(words) > PART:  # in parts: the arrays on the way are many times the result
+        parts = [gram_rows(words[at : at + PART]) for at in range(0, len(words), PART)]
+        bases = np.cumsum([0, *(ends[-1] for _, ends in parts)])
+        return np.concatenate([g for g, _ in parts]), np.concatenate([[0], *(ends[1:] + b for (_, ends), b in zip(parts, bases))])
     marked = [b"^" + w[:64] + b"$" for w in words]
     sizes = np.fromiter(map(len, marked), dtype=np.int64, count=len(marked))
     held = np.frombuffer(b"".join(marked), dtype=np.uint8).astype(np.uint32)
@@ -57,7 +61,7 @@ def gram_rows(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
             owners.append(owner[own])
     owners = np.concatenate(owners)
     order = np.argsort(owners, kind="stable")
-    return np.concatenate(rows)[order].astype(np.int64), np.concatenate([[0], np.cumsum(np.bincount(owners, minlength=len(words)))])
+    return np.concatenate(rows)[order].astype(np.int32), np.concatenate([[0], np.cumsum(np.bincount(owners, minlength=len(words)))])
 
 
 def word_row(word: bytes) -> int:
@@ -178,7 +182,7 @@ class Network:
 class Scorer:
     """Scores texts by network; words' projected inputs are kept in a table of bounded size."""
 
-    def __init__(self, net: Network, chunk: int = 4096):
+    def __init__(self, net: Network, chunk: int = 2048):
         self.net, self.chunk = net, chunk
         self._reset()
 
@@ -189,8 +193,8 @@ class Scorer:
     def _index(self, words: list[bytes]) -> np.ndarray:
         rows = self.rows
         fresh = [w for w in dict.fromkeys(words) if w not in rows]
-        for at in range(0, len(fresh), 50_000):
-            part = fresh[at : at + 50_000]
+        for at in range(0, len(fresh), PART):
+            part = fresh[at : at + PART]
             base = len(rows) + 1
             rows.update(zip(part, range(base, base + len(part))))
             new = self.net.projected(self.net.vectors(part))
@@ -214,6 +218,15 @@ class Scorer:
         index = np.where(real, flat[np.minimum(at, max(len(flat) - 1, 0))], 0) if len(flat) else np.zeros(at.shape, np.int32)
         return index, begin
 
+    def all_windows(self, texts: list[bytes | None], at_once: int = 100) -> tuple[np.ndarray, np.ndarray]:
+        """As ``windows``, some texts at a time, so that few words are Python objects at once."""
+        found, ends = [], [np.zeros(1, dtype=np.int64)]
+        for at in range(0, len(texts), at_once):
+            index, begin = self.windows(texts[at : at + at_once])
+            found.append(index.astype(np.int32))
+            ends.append(begin[1:] + ends[-1][-1])
+        return np.concatenate(found), np.concatenate(ends)
+
     def window_logits(self, index: np.ndarray) -> np.ndarray:
         parts = [self.net.logits(self.table, index[at : at + self.chunk]) for at in range(0, len(index), self.chunk)]
         return np.concatenate(parts)
@@ -248,13 +261,17 @@ def fit(texts: list[bytes | None], labels: list[int], shares: tuple[int, int] |
     if len(y) == 0 or y.min() == y.max():
         return Network(Network.fresh(seed).p, prior=float(y.mean()) if len(y) else 0.0)
     net, rng = Network.fresh(seed), np.random.default_rng(seed)
-    split = [words_of(t) for t in texts]
     aside = rng.random(len(y)) < 0.2
     for label in (0, 1):  # both parts need both labels
         own = np.flatnonzero(y == label)
         aside[own[0]], aside[own[-1]] = False, True
     train = np.flatnonzero(~aside)
-    unique = {w: k for k, w in enumerate(dict.fromkeys(w for words in split for w in words))}
+    unique: dict[bytes, int] = {}
+    numbers_of = []  # of the training documents, the words that each holds
+    for i, text in enumerate(texts):
+        own = np.unique(np.fromiter((unique.setdefault(w, len(unique)) for w in words_of(text)), np.int32))
+        if not aside[i]:
+            numbers_of.append(own)
     names = list(unique)
     rows, (grams, ends) = np.array([word_row(w) for w in names], dtype=np.int64), gram_rows(names)
 
@@ -263,8 +280,6 @@ def fit(texts: list[bytes | None], labels: list[int], shares: tuple[int, int] |
         cuts = np.concatenate([[0], np.cumsum(sizes)])
         return grams[np.arange(cuts[-1]) + np.repeat(ends[numbers] - cuts[:-1], sizes)], cuts
 
-    numbers_of = [np.unique(np.fromiter(map(unique.__getitem__, split[i]), np.int64, len(split[i]))).astype(np.int32) for i in train]
-    del split
     # rows that few documents hold stay zero, so the fit can't learn documents by heart
     free = {}
     for name, found, size in (("word", (rows[n] for n in numbers_of), WORD_ROWS), ("char", (own_grams(n)[0] for n in numbers_of), CHAR_ROWS)):
@@ -285,9 +300,9 @@ def fit(texts: list[bytes | None], labels: list[int], shares: tuple[int, int] |
     balance = np.where(y == 1, 0.5 / max(y[train].mean(), 1e-3), 0.5 / max(1 - y[train].mean(), 1e-3)).astype(np.float32)
     for turn in range(rounds):
         scorer = Scorer(net)
-        index, begin = scorer.windows(list(texts))
+        index, begin = scorer.all_windows(texts)
         if turn == 0:  # the window whose words have the highest odds
-            strength = np.concatenate([[-9.0], net.vectors(names)[:, [0, WORD_DIM]].max(axis=1)])
+            strength = np.concatenate([[-9.0], *(net.vectors(names[at : at + PART])[:, [0, WORD_DIM]].max(axis=1) for at in range(0, len(names), PART))])
             value = strength[_renamed(scorer, unique)[index]].max(axis=1)
         else:
             value = scorer.window_logits(index)
@@ -323,7 +338,7 @@ def fit(texts: list[bytes | None], labels: list[int], shares: tuple[int, int] |
                     adam(name, grad, 0.01 if turn < rounds - 1 else 0.003)
     scorer = Scorer(net)
     held_out = np.flatnonzero(aside)
-    index, begin = scorer.windows([texts[i] for i in held_out])
+    index, begin = scorer.all_windows([texts[i] for i in held_out])
     logit = np.maximum.reduceat(scorer.window_logits(index), begin[:-1])
     ones, zeros = y[held_out].sum(), (1 - y[held_out]).sum()
     zero_share, one_share = shares or (int((1 - y).sum()), int(y.sum()))
