@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treefix.llm.shared import WORD_BUDGET, RollingHash, as_bytes, mixed, rows_of, signed, stage, word_hashes
+from treefix.llm.shared import WORD_BUDGET, RollingHash, as_bytes, mixed, release, rows_of, signed, stage, word_hashes
 
 WINDOW, PERIOD = 35, 21
 ROW_KEY = "doc_id bigint, th bigint"
@@ -248,6 +248,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     anchors = _places_seen_twice(d.mapInArrow(_anchors(window, period), PLACES))
     states = f"{ROW_KEY}, text binary, anchors array<int>, n_words bigint, sha string"
     state = stage(_joined(d, anchors, "anchors").mapInArrow(_settled(window, with_text), states), "repeats")
+    release(docs.sparkSession)
     open_ = state.where(F.col("anchors").isNotNull()).select("doc_id", "th", "text", "anchors")
     starts = _places_seen_twice(open_.mapInArrow(_windows(window, period), PLACES))
     result = f"{ROW_KEY}, n_words bigint, n_removed bigint, kept_sha256 string, kept_text binary"
