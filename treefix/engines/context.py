@@ -71,6 +71,27 @@ def flagged(rows: DataFrame, names: list[str], known: DataFrame | None, fresh_if
     return marked.withColumn(FRESH, found).drop("known_")
 
 
+#: Stored tables above this are not shuffled for a small set of rows: those are written first, and if there are
+#: no more than SMALL of them they are broadcast against the scan.
+LARGE, SMALL = 200_000, 100_000
+
+
+def marked(store: Store, rows: DataFrame, columns: COLUMNS, table: Table | None, fresh_if_known: bool, name: str) -> DataFrame:
+    """As ``flagged``, against a stored table."""
+    names = [c for c, _ in columns]
+    if table is None or table.rows <= 0:
+        return flagged(rows, names, None, fresh_if_known)
+    known = store.read(table)
+    if table.rows > LARGE and names:
+        path, _, count = store.put(rows, columns, f"{name}-rows")
+        rows = store.part(columns, path).drop(FRESH)
+        if not count:
+            return rows.withColumn(FRESH, F.lit(False))
+        if count <= SMALL:
+            known = known.join(F.broadcast(rows.select(*names)), names, "left_semi")
+    return flagged(rows, names, known, fresh_if_known)
+
+
 def summed(frames: list[DataFrame], names: list[str], counts: bool, sign: int = 1) -> DataFrame | None:
     """Head rows of several rules as distinct keys with signed counts."""
     rows = union([f if COUNT in f.columns else f.withColumn(COUNT, F.lit(1)) for f in frames])

@@ -13,7 +13,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treefix.engines.context import COLUMNS, Round, flagged, union
+from treefix.engines.context import COLUMNS, Round, marked, union
 from treefix.operators.bodies import counted, delta_joins, join_atoms
 from treefix.operators.reducer import head_rows, label_add, label_delete, live, use_pivot_sweep
 from treefix.plans.stats import greedy_order
@@ -107,6 +107,10 @@ class TreeRule:
     def _write(self, here: Round, node: int, rows: DataFrame, what: str) -> tuple[str, int, int]:
         return here.store.put(rows, self.bags[node].rows.columns, f"{self.rule.name}-{node}-{what}")
 
+    def _marked(self, here: Round, node: int, rows: DataFrame, fresh_if_known: bool) -> DataFrame:
+        bag = self.bags[node].rows
+        return marked(here.store, rows, bag.columns, bag, fresh_if_known, f"{self.rule.name}-{node}")
+
     def _fresh(self, here: Round, node: int, path: str) -> DataFrame:
         bag = self.bags[node].rows
         return here.store.part(bag.columns, path).where(F.col(FRESH)).select(*bag.names)
@@ -123,7 +127,7 @@ class TreeRule:
                 changes.append((None, 0))
                 paths.append(None)
                 continue
-            path, fresh, _ = self._write(here, p, flagged(rows, self.bags[p].rows.names, self._stored(p, here), False), "gain")
+            path, fresh, _ = self._write(here, p, self._marked(here, p, rows, False), "gain")
             paths.append(path)
             changes.append((self._fresh(here, p, path), fresh))
         heads = self._passes(here, changes, self.labels)
@@ -144,7 +148,7 @@ class TreeRule:
                 changes.append((None, 0))
                 paths.append(None)
                 continue
-            lost = flagged(rows, self.bags[p].rows.names, self._stored(p, here), True).withColumn(COUNT, -F.col(COUNT))
+            lost = self._marked(here, p, rows, True).withColumn(COUNT, -F.col(COUNT))
             path, present, _ = self._write(here, p, lost, "loss")
             paths.append(path)
             changes.append((self._fresh(here, p, path), present))

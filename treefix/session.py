@@ -19,7 +19,7 @@ from py4j.protocol import Py4JError
 from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
-from treefix.engines.context import COLUMNS, Round, flagged, summed, union
+from treefix.engines.context import COLUMNS, Round, marked, summed, union
 from treefix.engines.plan import PlanRule
 from treefix.engines.tree import TreeRule
 from treefix.operators.reducer import label_add
@@ -190,13 +190,13 @@ class Reasoner:
                     out[r.rule.head.pred].append(heads)
         return out
 
-    def _commit(self, state: State, heads: dict[str, list[DataFrame]], known: dict[str, DataFrame | None], fresh_if_known: bool, sign: int, what: str) -> dict[str, tuple[str, int, int]]:
+    def _commit(self, state: State, heads: dict[str, list[DataFrame]], known: dict[str, Table | None], fresh_if_known: bool, sign: int, what: str) -> dict[str, tuple[str, int, int]]:
         """One part for each head predicate: its keys, signed counts, and which are fresh."""
 
         def one(pred: str):
             names = [c for c, _ in self.columns(pred)]
             rows = summed(heads[pred], names, self.counts, sign)
-            return pred, self.store.put(flagged(rows, names, known[pred], fresh_if_known), self.columns(pred), f"{pred}-{what}")
+            return pred, self.store.put(marked(self.store, rows, self.columns(pred), known[pred], fresh_if_known, f"{pred}-{what}"), self.columns(pred), f"{pred}-{what}")
 
         with ThreadPoolExecutor(self.threads) as pool:
             out = dict(pool.map(one, sorted(heads)))
@@ -217,7 +217,7 @@ class Reasoner:
                 state.facts[p] = state.facts[p].plus(layer)
             here = self._round(state, old, {p: Table(self.columns(p), (x,)) for p, x in new.items()}, report)
             heads = self._heads(state, here, "add")
-            known = {p: self.store.read(state.facts[p]) if state.facts[p].rows > 0 else None for p in heads}
+            known = {p: state.facts[p] for p in heads}
             written = self._commit(state, heads, known, False, 1, f"add{n}")
             new = {p: Layer("add", path, fresh) for p, (path, fresh, _) in written.items() if fresh}
             report.history += [("add", n, p, rows, fresh) for p, (_, fresh, rows) in sorted(written.items())]
@@ -235,7 +235,7 @@ class Reasoner:
             here = self._round(state, after, delta, report)
             heads = self._heads(state, here, "delete")
             left = {**state.facts, **after}
-            known = {p: self.store.read(left[p]) if left[p].rows > 0 else None for p in heads}
+            known = {p: left[p] for p in heads}
             written = self._commit(state, heads, known, True, -1, f"del{n}")
             for p, x in lost.items():
                 gone[p].append(x.path)
@@ -382,7 +382,7 @@ class Reasoner:
             here.counts = False
             heads = self._heads(state, here, "whole")
             held, self.counts = self.counts, False
-            known = {p: self.store.read(state.facts[p]) if state.facts[p].rows > 0 else None for p in heads}
+            known = {p: state.facts[p] for p in heads}
             written = self._commit(state, heads, known, False, 1, f"naive{n}")
             self.counts = held
             for p, (path, fresh, _) in written.items():
