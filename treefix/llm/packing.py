@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from treefix.llm.shared import rows_of, stage
+from treefix.llm.shared import rows_of, stage, tidied
 from treefix.llm.tokens import encode, vocabulary_path
 
 CAPACITY, END_ID, SALTS = 1024, 0, 64
@@ -125,7 +125,7 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path:
     """A row for each piece: ``doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset``."""
     spark = docs.sparkSession
     d = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
-    pieces = stage(d.mapInArrow(_pieces(path or vocabulary_path(), capacity, end_id), PIECE), "pieces")
+    pieces = stage(d.mapInArrow(tidied(_pieces(path or vocabulary_path(), capacity, end_id)), PIECE), "pieces")
     salt = F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), F.lit(SALTS)).alias("salt")
     salted = pieces.select("*", salt)
     counts = salted.groupBy("length", "salt").count()

@@ -20,7 +20,7 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents")
     net = toxicity.train(docs, _table(spark, sf_dir, "labels"))
     held = docs.select("doc_id", F.col("text").cast("binary").alias("text"))
-    scored = toxicity.score_toxicity(held, net)
+    scored = toxicity.score_toxicity(held, net, drop_text=True)
     return scored.select("doc_id", toxicity.is_held_out().alias("held_out"), "score", (F.col("score") >= toxicity.THRESHOLD).cast("int").alias("predicted"))
 
 

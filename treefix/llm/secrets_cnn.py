@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treefix.llm.shared import rows_of
+from treefix.llm.shared import rows_of, tidied
 from treefix.llm.toxicity import platt
 
 # Base patterns and the least sizes of what they must match
@@ -236,7 +236,7 @@ def scan_secrets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     ``masked``: the text with the values of all findings replaced (null stays null)."""
     d = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
     result = "doc_id bigint, n_assign bigint, n_access bigint, n_hex bigint, base_sha256 string, spans string, scores array<double>, masked string"
-    found = d.mapInArrow(_scan(trained(), mask), result)
+    found = d.mapInArrow(tidied(_scan(trained(), mask)), result)
     return found if mask else found.drop("masked")
 
 
@@ -252,4 +252,4 @@ def mask_secrets(docs: DataFrame, text_col: str = "text") -> DataFrame:
             new = pa.concat_arrays([b.column(b.num_columns - 1) for b in scan(iter([text]))]) if batch.num_rows else batch.column(place)
             yield pa.RecordBatch.from_arrays([new if n == place else c for n, c in enumerate(batch.columns)], names=batch.schema.names)
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidied(run), docs.schema)

@@ -3,13 +3,15 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
+import ctypes
 import gc
 import shutil
 import tempfile
 import time
 import uuid
 import zipfile
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from pathlib import Path
 
 import numpy as np
@@ -69,6 +71,22 @@ def release(spark: SparkSession) -> None:
         time.sleep(0.7)
 
 
+def tidied(run: Callable) -> Callable:
+    """``run`` for ``mapInArrow``, after which the worker gives memory back: workers are used again by
+    later tasks, and what allocators hold would add to theirs."""
+
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            gc.collect()
+            pa.default_memory_pool().release_unused()
+            with contextlib.suppress(OSError, AttributeError):  # only where the C library has it
+                ctypes.CDLL(None).malloc_trim(0)
+
+    return wrapped
+
+
 def as_bytes(value) -> bytes:
     return b"" if value is None else value
 

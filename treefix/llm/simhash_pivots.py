@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treefix.llm.shared import as_bytes, rows_of, stage
+from treefix.llm.shared import as_bytes, rows_of, stage, tidied
 
 SHINGLE, RADIUS = 4, 4
 BLOCKS = ((0, 11), (11, 11), (22, 11), (33, 11), (44, 10), (54, 10))
@@ -193,7 +193,7 @@ def fingerprint_links(fps: DataFrame, radius: int = RADIUS) -> DataFrame:
     links of at most ``radius`` bits do."""
     if not 0 <= radius <= len(BLOCKS) - 2:
         raise ValueError("a radius above 4 leaves fewer than two of six blocks alone")
-    keys = fps.select("fp").mapInArrow(_table(), "pair int, left bigint, right bigint, fp bigint")
+    keys = fps.select("fp").mapInArrow(tidied(_table()), "pair int, left bigint, right bigint, fp bigint")
     shared = ["pair", "left", "right"]
     sizes = keys.groupBy(*shared).count().where("count > 1")
     crowded = keys.join(sizes, shared)
@@ -202,7 +202,7 @@ def fingerprint_links(fps: DataFrame, radius: int = RADIUS) -> DataFrame:
     meets = F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda o: F.least(o, F.col("own")) * F.col("parts") + F.greatest(o, F.col("own")))
     dealt = crowded.withColumn("parts", parts).withColumn("own", own).withColumn("part", F.explode(meets))
     dealt = dealt.select(*shared, "part", "fp").repartition(*shared, "part").sortWithinPartitions(*shared, "part", "fp")
-    return dealt.mapInArrow(_links(radius), "a bigint, b bigint").distinct()
+    return dealt.mapInArrow(tidied(_links(radius)), "a bigint, b bigint").distinct()
 
 
 def components(links: DataFrame, ids: DataFrame) -> DataFrame:
@@ -230,7 +230,7 @@ def components(links: DataFrame, ids: DataFrame) -> DataFrame:
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
     """``doc_id, fingerprint, component_id`` for each input row."""
     d = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("binary").alias("text"))
-    rows = stage(d.mapInArrow(_fingerprints(shingle), "doc_id bigint, fp bigint"), "fingerprints")
+    rows = stage(d.mapInArrow(tidied(_fingerprints(shingle)), "doc_id bigint, fp bigint"), "fingerprints")
     classes = stage(rows.groupBy("fp").agg(F.min("doc_id").alias("known"), F.count(F.lit(1)).alias("n")), "classes")
     # a class of null ids only gets a stand-in above all ids, by its fingerprint
     ids = classes.select("fp", F.struct(F.col("known").isNull().alias("none"), F.coalesce("known", "fp").alias("v")).alias("id"))

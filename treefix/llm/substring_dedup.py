@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treefix.llm.shared import WORD_BUDGET, RollingHash, as_bytes, mixed, release, rows_of, signed, stage, word_hashes
+from treefix.llm.shared import WORD_BUDGET, RollingHash, as_bytes, mixed, release, rows_of, signed, stage, tidied, word_hashes
 
 WINDOW, PERIOD = 35, 21
 ROW_KEY = "doc_id bigint, th bigint"
@@ -163,7 +163,7 @@ def _repeated(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _places_seen_twice(found: DataFrame) -> DataFrame:
     dealt = found.repartition("key").sortWithinPartitions("key", "extra", F.col("spot").bitwiseAND(3) == KNOWN)
-    rows = dealt.mapInArrow(_repeated, f"{ROW_KEY}, place int")
+    rows = dealt.mapInArrow(tidied(_repeated), f"{ROW_KEY}, place int")
     return rows.groupBy("doc_id", "th").agg(F.collect_set("place").alias("places"))
 
 
@@ -245,14 +245,14 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     if not 1 <= period <= window:
         raise ValueError("the period must lie between 1 and the window")
     d = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.xxhash64(F.col(text_col)).alias("th"), F.col(text_col).cast("binary").alias("text"))
-    anchors = _places_seen_twice(d.mapInArrow(_anchors(window, period), PLACES))
+    anchors = _places_seen_twice(d.mapInArrow(tidied(_anchors(window, period)), PLACES))
     states = f"{ROW_KEY}, text binary, anchors array<int>, n_words bigint, sha string"
-    state = stage(_joined(d, anchors, "anchors").mapInArrow(_settled(window, with_text), states), "repeats")
+    state = stage(_joined(d, anchors, "anchors").mapInArrow(tidied(_settled(window, with_text)), states), "repeats")
     release(docs.sparkSession)
     open_ = state.where(F.col("anchors").isNotNull()).select("doc_id", "th", "text", "anchors")
-    starts = _places_seen_twice(open_.mapInArrow(_windows(window, period), PLACES))
+    starts = _places_seen_twice(open_.mapInArrow(tidied(_windows(window, period)), PLACES))
     result = f"{ROW_KEY}, n_words bigint, n_removed bigint, kept_sha256 string, kept_text binary"
-    cut = _joined(open_.drop("anchors"), starts, "starts").mapInArrow(_finished(window, with_text), result)
+    cut = _joined(open_.drop("anchors"), starts, "starts").mapInArrow(tidied(_finished(window, with_text)), result)
     still = state.where(F.col("anchors").isNull()).select("doc_id", "th", "n_words", F.lit(0).cast("bigint").alias("n_removed"), F.col("sha").alias("kept_sha256"), F.col("text").alias("kept_text"))
     both = still.unionByName(cut).withColumn("kept_text", F.col("kept_text").cast("string"))
     return both if with_text else both.drop("kept_text")

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from treefix.llm.shared import as_bytes, rows_of
+from treefix.llm.shared import as_bytes, rows_of, tidied
 
 WINDOW, STRIDE, HIDDEN, WORD_DIM, CHAR_DIM, ATTENTION = 32, 16, 8, 6, 6, 8
 WORD_ROWS, CHAR_ROWS = 1 << 15, 1 << 15
@@ -389,8 +389,8 @@ def train(docs: DataFrame, labels: DataFrame, per_label: int = SAMPLE_ROWS) -> N
     return fit([r[2] for r in rows], [r[1] for r in rows], (counts.get(0, 0), counts.get(1, 0)) if len(counts) == 2 else None)
 
 
-def score_toxicity(docs: DataFrame, net: Network, text_col: str = "text", score_col: str = "score") -> DataFrame:
-    """The rows of ``docs`` with a score between 0 and 1."""
+def score_toxicity(docs: DataFrame, net: Network, text_col: str = "text", score_col: str = "score", drop_text: bool = False) -> DataFrame:
+    """The rows of ``docs`` with a score between 0 and 1; without their text if that is not needed."""
     shared = docs.sparkSession.sparkContext.broadcast(net)
     given = docs.drop(score_col)
     place = given.columns.index(text_col)
@@ -409,7 +409,9 @@ def score_toxicity(docs: DataFrame, net: Network, text_col: str = "text", score_
                     if size > 2_000_000:
                         break
                 part = batch.slice(start, at - start)
-                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(scorer.score(texts))], names=[*batch.schema.names, score_col])
+                if drop_text:
+                    part = part.select([n for n in part.schema.names if n != text_col])
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(scorer.score(texts))], names=[*part.schema.names, score_col])
 
-    schema = T.StructType([*given.schema.fields, T.StructField(score_col, T.DoubleType())])
-    return given.mapInArrow(run, schema)
+    kept = [f for f in given.schema.fields if not (drop_text and f.name == text_col)]
+    return given.mapInArrow(tidied(run), T.StructType([*kept, T.StructField(score_col, T.DoubleType())]))
