@@ -159,8 +159,7 @@ class TreeRule:
                 bag.ledger += (paths[p],)
                 if changes[p][1]:
                     bag.suspects += (paths[p],)
-                    taken, _, _ = self._write(here, p, changes[p][0], "taken")
-                    bag.rows = bag.rows.plus(Layer("del", taken, changes[p][1]))
+                    bag.rows = bag.rows.plus(Layer("del", paths[p], changes[p][1]))  # its other rows weren't stored
         return heads
 
     def rederive(self, here: Round) -> DataFrame | None:

@@ -10,7 +10,7 @@ from treefix.engines.tree import TreeRule
 from treefix.operators.reducer import join_up, reduce_tree
 from treefix.plans.stats import Stats, best_tree, collect
 from treefix.plans.trees import JoinTree
-from treefix.rules import Rule, Schemas
+from treefix.rules import Atom, Program, Rule, Schemas
 
 
 def prepared(rule: Rule, facts: dict[str, DataFrame]) -> tuple[dict[str, DataFrame], Schemas, Stats]:
@@ -23,13 +23,11 @@ def prepared(rule: Rule, facts: dict[str, DataFrame]) -> tuple[dict[str, DataFra
 
 def _columns(rule: Rule, schemas: Schemas) -> tuple[tuple[str, str], ...]:
     own = Schemas(dict(schemas.types))
-    own.types.pop(rule.head.pred, None)
-    from treefix.rules import Program
-
-    own.infer(Program((rule,)))
+    head = Atom("head_", rule.head.terms)  # under a name that no body has
+    own.infer(Program((Rule(head, rule.body, rule.builtins),)))
     names = [getattr(t, "name", f"c{n}") for n, t in enumerate(rule.head.terms)]
     names = [v if names.index(v) == n else f"{v}{n}" for n, v in enumerate(names)]
-    return tuple(zip(names, own.types[rule.head.pred])) or (("flag_", "boolean"),)
+    return tuple(zip(names, own.types["head_"])) or (("flag_", "boolean"),)
 
 
 def by_plan(rule: Rule, facts: dict[str, DataFrame], order: str = "greedy", counts: bool = False, watch=None) -> DataFrame:

@@ -242,10 +242,8 @@ class Reasoner:
             state.facts.update(after)
             lost = {}
             for p, (path, fresh, _) in written.items():
-                if fresh:  # a part of the fresh rows alone, as a deletion takes all rows of its part
-                    rows = self.store.part(self.columns(p), path).where(F.col(FRESH)).drop(COUNT)
-                    taken, count, _ = self.store.put(rows, self.columns(p), f"{p}-lost{n}")
-                    lost[p] = Layer("add", taken, count)
+                if fresh:  # as a deletion the part's other rows take nothing: they aren't there any more
+                    lost[p] = Layer("add", path, fresh)
             report.history += [("delete", n, p, rows, fresh) for p, (_, fresh, rows) in sorted(written.items())]
             report.deleted += sum(x.rows for x in lost.values())
         report.rounds += n
