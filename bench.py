@@ -72,7 +72,7 @@ def main() -> None:
     tasks("shapes", lambda: workloads.Workload(cyclic, workloads.inputs(spark, sf_dir, cyclic)), ("combined", "standard"))
     simple = workloads.pick(workloads.simple_rules(), *(f"sa{n}" for n in range(0, 12, 3)), "sc0", "sc1", "sr0", "sr1")
     tasks("simple", lambda: workloads.Workload(simple, workloads.inputs(spark, sf_dir, simple)), ("combined", "standard", "tree"))
-    for k in (400, 2000):
+    for k in (2000, 5000):
         for engine in ("tree", "standard"):
             r = Reasoner(spark, engine=engine).rules(workloads.MOTIVATING)
             for p, df in generators.motivating(spark, 50, k).items():
