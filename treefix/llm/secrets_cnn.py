@@ -1,10 +1,10 @@
 """Secret scan: base patterns, and a character convolutional network over every candidate.
 
 Base findings (``assign``, ``access``, ``hex``) are matches of fixed patterns and always reported. Further
-candidates are long tokens of mixed characters and values given to names that sound secret. Each candidate,
-base findings too, is scored with its context by a small network in numpy:
+candidates are all long tokens and all values given to names that sound secret. Each candidate,
+base findings too, is scored whole with its context by a small network in numpy:
 character vectors with a mark for the candidate, one convolution, the largest response inside
-and anywhere, a logistic output. It is trained on labelled findings that a seeded
+and anywhere, a logistic output. Where candidates that reach the threshold overlap, the one of highest score is reported. It is trained on labelled findings that a seeded
 generator writes (keys of known forms against hashes of files, paths, names, dates and versions), so
 a result depends on nothing but the text. Scores are calibrated by Platt scaling on findings set
 aside; the threshold is the highest that keeps ``RECALL`` of the true ones among them.
@@ -20,8 +20,10 @@ import base64
 import functools
 import hashlib
 import re
+from bisect import bisect_right
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -39,11 +41,12 @@ ASSIGN_LEAST, ACCESS_LEAST = 6, 20
 KINDS = ("assign", "access", "hex", "learned")
 NAMED = re.compile(r"""(?:pwd|passphrase|credential|auth|private_?key|access_?key|client_?key|bearer)["']?\x20*[:=]?\x20*["']?([A-Za-z0-9+/_.=-]{8,})""", re.IGNORECASE | re.ASCII)
 LONG = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{20,}")
-_MIXED = re.compile(r"\d")
 _HINTS, _NAMES = ("passw", "secret", "token", "api"), ("pwd", "passphrase", "credential", "auth", "key", "bearer")
 
+# A candidate has at least INSIDE places
 LEFT, INSIDE, RIGHT, DIM, FILTERS, REACH, RECALL = 24, 40, 8, 8, 24, 5, 0.98
 PLACES = LEFT + INSIDE + RIGHT
+PIECE = 4096  # so many places go through the convolution at once
 
 
 def base_spans(text: str) -> list[tuple[int, int, int, int, int]]:
@@ -59,32 +62,31 @@ def base_spans(text: str) -> list[tuple[int, int, int, int, int]]:
 
 
 def candidates(text: str, base: list[tuple]) -> list[tuple[int, int]]:
-    """Spans that may be secrets and meet no base finding, apart from each other."""
-    found = [m.span() for m in LONG.finditer(text) if _MIXED.search(m[0])]
+    """Spans that may be secrets and don't lie within a base finding; they may overlap."""
+    found = {m.span() for m in LONG.finditer(text)}
     low = text.lower()
     if any(h in low for h in _NAMES):
-        found += [m.span(1) for m in NAMED.finditer(text) if _MIXED.search(m[1])]
+        found |= {m.span(1) for m in NAMED.finditer(text)}
     taken = sorted((s, e) for s, _, e, *_ in base)
-    starts = [s for s, _ in taken]
-    out, last = [], -1
-    for start, end in sorted(set(found), key=lambda x: (x[0], -x[1])):
-        at = np.searchsorted(starts, end) if taken else 0
-        hit = any(s < end and start < e for s, e in taken[max(0, at - 3) : at])
-        if start >= last and not hit:
-            out.append((start, end))
-            last = end
-    return out
+    starts, reach = [s for s, _ in taken], list(accumulate((e for _, e in taken), max))
+    return [(s, e) for s, e in sorted(found) if not (at := bisect_right(starts, s)) or reach[at - 1] < e]
+
+
+def resolved(scored: list[tuple[int, int, float]]) -> list[tuple[int, int]]:
+    """Of overlapping spans the one of highest score, the first and longest of equals."""
+    kept: list[tuple[int, int]] = []
+    for start, end, _ in sorted(scored, key=lambda x: (-x[2], x[0], -x[1])):
+        at = bisect_right(kept, (start, end))
+        if (at == 0 or kept[at - 1][1] <= start) and (at == len(kept) or end <= kept[at][0]):
+            kept.insert(at, (start, end))
+    return kept
 
 
 def encoded(text: str, start: int, end: int) -> np.ndarray:
     """Character numbers of a candidate in its context; those of the candidate are above 128."""
-    row = np.zeros(PLACES, dtype=np.int64)
-    left = text[max(0, start - LEFT) : start]
-    own = text[start:end]
-    if len(own) > INSIDE:  # both ends of a longer one
-        own = own[: INSIDE // 2] + own[-(INSIDE // 2) :]
-    right = text[end : end + RIGHT]
-    for at, part, mark in ((LEFT - len(left), left, 0), (LEFT, own, 128), (LEFT + INSIDE, right, 0)):
+    left, own, right = text[max(0, start - LEFT) : start], text[start:end], text[end : end + RIGHT]
+    row = np.zeros(LEFT + max(INSIDE, len(own)) + RIGHT, dtype=np.int64)
+    for at, part, mark in ((LEFT - len(left), left, 0), (LEFT, own, 128), (len(row) - RIGHT, right, 0)):
         row[at : at + len(part)] = [min(ord(c), 127) + mark for c in part]
     return row
 
@@ -96,42 +98,76 @@ class CharNet:
     shift: float = 0.0
     threshold: float = 0.5
 
-    def forward(self, rows: np.ndarray):
-        x = self.p["chars"][rows]
-        n = PLACES - REACH + 1
+    def forward(self, rows: list[np.ndarray]):
+        sizes = np.array([len(r) for r in rows])
+        table = np.zeros((len(rows), sizes.max()), dtype=np.int64)
+        for i, r in enumerate(rows):
+            table[i, : len(r)] = r
+        n = table.shape[1] - REACH + 1
+        x, place, width = self.p["chars"][table], np.arange(n)[None, :], (sizes - LEFT - RIGHT)[:, None]
         unrolled = np.concatenate([x[:, k : k + n] for k in range(REACH)], axis=2)
-        act = np.maximum(unrolled @ self.p["conv"] + self.p["bias"], 0)
-        inside = act[:, LEFT - 2 : LEFT + INSIDE - 2]
-        best_in, best = inside.argmax(axis=1), act.argmax(axis=1)
-        length = (rows[:, LEFT : LEFT + INSIDE] > 0).mean(axis=1, keepdims=True)
-        pooled = np.concatenate([inside.max(axis=1), act.max(axis=1), inside.mean(axis=1), length], axis=1)
-        return pooled @ self.p["out"] + self.p["out_bias"][0], (unrolled, act, best_in, best, pooled)
-
-    def probability(self, rows: np.ndarray) -> np.ndarray:
-        return 1 / (1 + np.exp(-np.clip(self.scale * self.forward(rows)[0] + self.shift, -40, 40)))
-
-    def gradients(self, rows: np.ndarray, y: np.ndarray) -> dict[str, np.ndarray]:
-        logit, (unrolled, act, best_in, best, pooled) = self.forward(rows)
+        act = np.maximum(unrolled @ self.p["conv"] + self.p["bias"], 0) * (place < sizes[:, None] - REACH + 1)[..., None]
+        own = (place >= LEFT - 2) & (place < LEFT - 2 + width)
+        inside = act * own[..., None]
+        length = (table[:, LEFT : LEFT + INSIDE] > 0).mean(axis=1, keepdims=True)
+        pooled = np.concatenate([inside.max(axis=1), act.max(axis=1), inside.sum(axis=1) / width, length], axis=1)
+        return pooled @ self.p["out"] + self.p["out_bias"][0], (table, unrolled, act, own, width, inside.argmax(axis=1), act.argmax(axis=1), pooled)
+
+    def long_logit(self, row: np.ndarray) -> float:
+        """The logit of one row, a piece of the convolution at a time."""
+        n, width = len(row) - REACH + 1, len(row) - LEFT - RIGHT
+        best_in, best, total = np.zeros(FILTERS), np.zeros(FILTERS), np.zeros(FILTERS)
+        for at in range(0, n, PIECE):
+            size = min(PIECE, n - at)
+            x = self.p["chars"][row[at : at + size + REACH - 1]]
+            act = np.maximum(np.concatenate([x[k : k + size] for k in range(REACH)], axis=1) @ self.p["conv"] + self.p["bias"], 0)
+            inside = act[max(0, LEFT - 2 - at) : max(0, LEFT - 2 + width - at)]
+            best, total = np.maximum(best, act.max(axis=0)), total + inside.sum(axis=0)
+            if len(inside):
+                best_in = np.maximum(best_in, inside.max(axis=0))
+        pooled = np.concatenate([best_in, best, total / width, [(row[LEFT : LEFT + INSIDE] > 0).mean()]])
+        return float(pooled @ self.p["out"] + self.p["out_bias"][0])
+
+    def logits(self, rows: list[np.ndarray]) -> np.ndarray:
+        """By length, so that little is padded."""
+        out = np.zeros(len(rows))
+        order = sorted(range(len(rows)), key=lambda i: len(rows[i]))
+        while order:
+            size = len(rows[order[0]])
+            if size > PIECE:
+                first = order.pop(0)
+                out[first] = self.long_logit(rows[first])
+                continue
+            part = [i for i in order[: max(1, 256 * PLACES // size)] if len(rows[i]) <= 2 * size]
+            out[part] = self.forward([rows[i] for i in part])[0]
+            order = order[len(part) :]
+        return out
+
+    def probability(self, rows: list[np.ndarray]) -> np.ndarray:
+        return 1 / (1 + np.exp(-np.clip(self.scale * self.logits(rows) + self.shift, -40, 40)))
+
+    def gradients(self, rows: list[np.ndarray], y: np.ndarray) -> dict[str, np.ndarray]:
+        logit, (table, unrolled, act, own, width, best_in, best, pooled) = self.forward(rows)
         d = ((1 / (1 + np.exp(-np.clip(logit, -30, 30)))) - y) / len(y)
         d_pool = d[:, None] * self.p["out"]
         d_act = np.zeros_like(act)
         i, f = np.arange(len(y))[:, None], np.arange(FILTERS)[None, :]
-        np.add.at(d_act, (i, best_in + LEFT - 2, f), d_pool[:, :FILTERS])
+        np.add.at(d_act, (i, best_in, f), d_pool[:, :FILTERS] * (pooled[:, :FILTERS] > 0))
         np.add.at(d_act, (i, best, f), d_pool[:, FILTERS : 2 * FILTERS])
-        d_act[:, LEFT - 2 : LEFT + INSIDE - 2] += d_pool[:, None, 2 * FILTERS : 3 * FILTERS] / INSIDE
+        d_act += d_pool[:, None, 2 * FILTERS : 3 * FILTERS] * (own / width)[..., None]
         d_act *= act > 0
         flat = d_act.reshape(-1, FILTERS)
-        d_x = np.zeros((len(y), PLACES, DIM))
+        n = act.shape[1]
+        d_x = np.zeros((*table.shape, DIM))
         d_unrolled = d_act @ self.p["conv"].T
-        n = PLACES - REACH + 1
         for k in range(REACH):
             d_x[:, k : k + n] += d_unrolled[:, :, k * DIM : (k + 1) * DIM]
         d_chars = np.zeros_like(self.p["chars"])
-        np.add.at(d_chars, rows, d_x)
+        np.add.at(d_chars, table, d_x)
         return {"out": pooled.T @ d, "out_bias": np.array([d.sum()]), "conv": unrolled.reshape(-1, REACH * DIM).T @ flat, "bias": flat.sum(axis=0), "chars": d_chars}
 
 
-def labelled_findings(n: int, seed: int = 11) -> tuple[np.ndarray, np.ndarray]:
+def labelled_findings(n: int, seed: int = 11) -> tuple[list[np.ndarray], np.ndarray]:
     """Seeded findings and labels: true secrets and things that look like them."""
     rng = np.random.default_rng(seed)
     alnum = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
@@ -139,9 +175,17 @@ def labelled_findings(n: int, seed: int = 11) -> tuple[np.ndarray, np.ndarray]:
     pick = lambda options: options[rng.integers(len(options))]
     chars = lambda pool, a, b: "".join(pool[i] for i in rng.integers(0, len(pool), rng.integers(a, b)))
     word = lambda: "".join(pick(syllables) for _ in range(rng.integers(1, 5)))
+    onsets, nuclei, codas = "b c d f g h k l m n p r s t v w z ch sch pf st bl tr th".split() + [""], "a e i o u ei ai au eau ou ie io".split(), "n r t l m s ng ch cht nd x rt".split() + [""] * 4
+    syllable = lambda: pick(onsets) + pick(nuclei) + pick(codas)
+    made = lambda a, b: "".join(syllable() for _ in range(rng.integers(a, b)))
     prose = lambda k: " ".join(word() for _ in range(k))
 
+    letters = alnum[:52]
+    given = ["pwd=", 'pwd: "', "passphrase=", "passphrase: ", "credential=", 'auth="', "auth: ", "private_key=", "access_key = ", "client_key: ", "bearer="]
+
     def secret() -> tuple[str, str]:
+        if rng.random() < 0.3:  # without digits, some of them made of words: their names tell
+            return pick(given), pick([lambda: chars(letters, 12, 40), lambda: "".join(made(1, 3).title() for _ in range(rng.integers(3, 6))), lambda: pick("-_.").join(made(1, 3) for _ in range(rng.integers(3, 6))), lambda: "".join(word().title() for _ in range(4)), lambda: chars(letters + "_-", 10, 24)])()
         value = pick([
             lambda: pick(["ghp_", "gho_", "sk_live_", "sk-", "xoxb-", "glpat-", "AIza", "npm_", "hf_"]) + chars(alnum, 24, 40),
             lambda: chars(alnum, 20, 48), lambda: base64.b64encode(rng.bytes(int(rng.integers(18, 40)))).decode(),
@@ -151,6 +195,13 @@ def labelled_findings(n: int, seed: int = 11) -> tuple[np.ndarray, np.ndarray]:
         return before, value
 
     def plain() -> tuple[str, str]:
+        if rng.random() < 0.4:  # without digits
+            if rng.random() < 0.4:  # words after a name that gives nothing
+                return pick(["auth", "the auth", "credential ", "credential", "bearer ", "private key ", "access key ", "passphrase ", "pwd "]), made(1, 4) + word() + pick(["tion", "ity", "ized", "entication", "management", "ungen"])
+            return pick(["", "see ", "path: ", "file ", "from ", "the "]), pick([
+                lambda: "-".join(word() for _ in range(5)) + "-" + word(), lambda: "_".join(word() for _ in range(5)) + "_" + word(), lambda: "/".join(word() for _ in range(6)), lambda: "/".join(chars("abcdefghij", 1, 4) for _ in range(rng.integers(8, 30))), lambda: made(7, 12), lambda: made(7, 12), lambda: made(6, 10).capitalize(), lambda: "-".join(made(2, 4) for _ in range(4)), lambda: word() + word() + word() + word() + word() + word(),
+                lambda: "".join(word().title() for _ in range(6)), lambda: pick("=-_/+") * int(rng.integers(20, 80)), lambda: (word() + pick("=-_/") * 3) * 4,
+            ])()
         value = pick([
             lambda: "-".join(word() for _ in range(4)) + "-" + str(rng.integers(1, 99)), lambda: "_".join(word() for _ in range(4)) + str(rng.integers(0, 9)),
             lambda: "/".join([word(), word(), word(), f"v{rng.integers(1, 9)}", word()]), lambda: f"20{rng.integers(10, 30)}-{rng.integers(10, 13)}-{rng.integers(10, 29)}T{rng.integers(10, 24)}-{rng.integers(10, 60)}-00",
@@ -165,11 +216,11 @@ def labelled_findings(n: int, seed: int = 11) -> tuple[np.ndarray, np.ndarray]:
         before, value = secret() if true else plain()
         lead = prose(3) + " " + before
         rows.append(encoded(lead + value + " " + prose(2), len(lead), len(lead) + len(value)))
-    return np.array(rows), y.astype(np.float64)
+    return rows, y.astype(np.float64)
 
 
 @functools.lru_cache(maxsize=1)
-def trained(n: int = 4000, epochs: int = 6, seed: int = 11) -> CharNet:
+def trained(n: int = 8000, epochs: int = 8, seed: int = 11) -> CharNet:
     """The network, its calibration and its threshold; the same in every process."""
     rows, y = labelled_findings(n, seed)
     rng = np.random.default_rng(seed)
@@ -180,12 +231,12 @@ def trained(n: int = 4000, epochs: int = 6, seed: int = 11) -> CharNet:
         order = rng.permutation(cut)
         for at in range(0, cut, 64):
             part, step = order[at : at + 64], step + 1
-            for k, g in net.gradients(rows[part], y[part]).items():
+            for k, g in net.gradients([rows[i] for i in part], y[part]).items():
                 m, v = moments[k]
                 m += 0.1 * (g - m)
                 v += 0.001 * (g * g - v)
                 net.p[k] -= 0.01 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-8)
-    net.scale, net.shift = platt(net.forward(rows[cut:])[0], y[cut:], np.full(n - cut, 1 / (n - cut)))
+    net.scale, net.shift = platt(net.logits(rows[cut:]), y[cut:], np.full(n - cut, 1 / (n - cut)))
     net.threshold = float(min(0.9, np.quantile(net.probability(rows[cut:])[y[cut:] == 1], 1 - RECALL)))
     return net
 
@@ -205,8 +256,9 @@ def _scan(net: CharNet, mask: bool):
         base = base_spans(text or "")
         more = candidates(text or "", base)
         every = [(s, e) for s, _, e, *_ in base] + more
-        score = net.probability(np.array([encoded(text, s, e) for s, e in every])) if every else np.zeros(0)
-        spans = base + [(s, 3, e, s, e) for (s, e), v in zip(more, score[len(base) :]) if v >= net.threshold]
+        score = net.probability([encoded(text, s, e) for s, e in every]) if every else np.zeros(0)
+        learned = resolved([(s, e, v) for (s, e), v in zip(more, score[len(base) :]) if v >= net.threshold])
+        spans = base + [(s, 3, e, s, e) for s, e in learned]
         held = {(s, e): float(v) for (s, e), v in zip(every, score)}
         spans.sort()
         new = text
