@@ -23,7 +23,7 @@ WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 # Phrases that the base detection reports, with their labels
 BASE = (("gnu general public license", "gpl"), ("apache license", "apache"), ("cc by", "cc-by"), ("mit license", "mit"))
 # Any rule's text holds one of these, so a text without them is skipped
-GATES = ("licen", "cc by", "cc0", "public domain", "copyright", "spdx", "gpl", "warranty", "permission", "redistribution", "creativecommons", "creative commons")
+GATES = ("licen", "cc by", "cc0", "public domain", "copyright", "spdx", "gpl", "warranty", "permission", "redistribution", "creativecommons", "creative commons", "wtfpl", "gfdl", "bsd")
 
 
 @dataclass(frozen=True)
@@ -54,7 +54,7 @@ def rules() -> list[Rule]:
             n = numbers[v]
             add(2, 0.9, f"{name}-{v}", "licen", f"{long} {ver}{n}", f"{long} as published by the free software foundation either {ver}{n}", f"{ver}{n} of the {long}", f"{long} {ver}{n} only")
             add(3, 0.95, f"{name}-{v}-or-later", "licen", f"{long} {ver}{n} or (?:any )?later(?: version)?", f"{long} as published by the free software foundation either {ver}{n} of the licen[sc]e or at your option any later version")
-            add(2, 0.85, f"{name}-{v}", "gpl" if "gpl" in name else "licen", f"(?:gnu )?{name} ?{ver}{n}")
+            add(2, 0.85, f"{name}-{v}", name, f"(?:gnu )?{name} ?{ver}{n}")
             add(3, 0.9, f"{name}-{v}-or-later", "spdx", f"spdx license identifier {name} {n} or later")
             add(3, 0.9, f"{name}-{v}", "spdx", f"spdx license identifier {name} {n}(?: only)?")
     cc = {"cc-by": "by", "cc-by-sa": "by sa", "cc-by-nc": "by nc", "cc-by-nd": "by nd", "cc-by-nc-sa": "by nc sa", "cc-by-nc-nd": "by nc nd"}
@@ -84,10 +84,12 @@ def rules() -> list[Rule]:
             add(2, 0.9, f"{name}-{v}", "licen", f"{long} {ver}{numbers[v]}", f"{ver}{numbers[v]} of the {long}")
             add(3, 0.9, f"{name}-{v}", "spdx", f"spdx license identifier {name} {numbers[v]}")
     for name, pattern in {"mit": "mit licen[sc]e", "isc": "isc licen[sc]e", "zlib": "zlib licen[sc]e", "x11": "x11 licen[sc]e", "wtfpl": "wtfpl", "unlicense": "the unlicen[sc]e", "ncsa": "ncsa open source licen[sc]e", "postgresql": "postgresql licen[sc]e", "beerware": "beer ware licen[sc]e", "json": "json licen[sc]e", "php": "php licen[sc]e", "ruby": "ruby licen[sc]e", "bsd": "bsd(?: style)? licen[sc]e"}.items():
-        add(1, 0.8, name, "gpl" if name == "wtfpl" else "licen", pattern, f"(?:under|with) (?:the )?(?:terms of the )?{pattern}", f"licen[sc]ed under (?:the )?{pattern}")
+        own = "wtfpl" if name == "wtfpl" else "licen"
+        add(1, 0.8, name, own, pattern, f"(?:under|with) (?:the )?(?:terms of the )?{pattern}", f"licen[sc]ed under (?:the )?{pattern}")
         add(3, 0.9, name, "spdx", f"spdx license identifier {name}")
     for n, spelled in (("2", "(?:2|two)"), ("3", "(?:3|three)"), ("4", "(?:4|four)")):
-        add(2, 0.9, f"bsd-{n}", "licen", f"(?:bsd )?{spelled} clause(?: bsd)? licen[sc]e", f"bsd {spelled} clause(?: licen[sc]e)?")
+        add(2, 0.9, f"bsd-{n}", "licen", f"(?:bsd )?{spelled} clause(?: bsd)? licen[sc]e")
+        add(2, 0.9, f"bsd-{n}", "bsd", f"bsd {spelled} clause(?: licen[sc]e)?")
     add(3, 0.95, "mit", "permission", "permission is hereby granted free of charge to any person obtaining a copy of this software")
     add(3, 0.95, "isc", "permission", "permission to use copy modify and or distribute this software for any purpose")
     add(3, 0.95, "bsd", "redistribution", "redistribution and use in source and binary forms with or without modification are permitted")
