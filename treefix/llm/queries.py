@@ -38,9 +38,10 @@ def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_sampled_segments(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = sampled_segments.sample_segmentations(_table(spark, sf_dir, "conversations"), ["conv_id", "turn"])
+    docs = _table(spark, sf_dir, "documents").select("doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), "text")
+    found = sampled_segments.decode_segmentations(sampled_segments.sample_segmentations(docs, ["doc_id", "th"]))
     digest = F.crc32(F.array_join(F.transform("ids", lambda i: i.cast("string")), ",").cast("binary")).alias("ids_crc32")
-    return found.select("conv_id", "turn", "rank", F.size("ids").alias("n_pieces"), digest, "log_prob", "perturbed", "inclusion")
+    return found.select("doc_id", "rank", F.size("ids").alias("n_pieces"), digest, "log_prob", "perturbed", "inclusion", (F.xxhash64("decoded") == F.col("th")).alias("round_trip"))
 
 
 def op6_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

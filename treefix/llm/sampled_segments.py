@@ -25,6 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from treefix.llm.shared import rows_of
 
@@ -178,3 +179,18 @@ def sample_segmentations(rows: DataFrame, key_cols: list[str], text_col: str = "
     found = d.mapInArrow(run, schema)
     named = [F.col(f"k{n}").cast(rows.schema[c].dataType).alias(c) for n, c in enumerate(key_cols)]
     return found.select(*named, "rank", "ids", "log_prob", "perturbed", "inclusion")
+
+
+def decode_segmentations(found: DataFrame, ids_col: str = "ids", path: str | None = None, exponent: float = EXPONENT) -> DataFrame:
+    """The rows of ``found`` with ``decoded``, the text of their ids."""
+    place, names = path or model_path(), found.columns
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = lattice(place, exponent)
+        for batch in batches:
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                text = [None if ids is None else own.decode(ids) for (ids,) in rows_of(iter([part]), ids_col)]
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(text, pa.string())], names=[*names, "decoded"])
+
+    return found.mapInArrow(run, T.StructType([*found.schema.fields, T.StructField("decoded", T.StringType())]))
