@@ -204,12 +204,12 @@ def _update_sql(which: str, task: str) -> str:
         program, preds = _SETS[which]
         head = []
         given = sorted({a.pred for r in program.rules for a in r.body if a.pred in sqlgen.TABLES})
-        raw = {p: (", ".join(f"a{n}" for n in range(len(sqlgen.COLUMNS[p]))), sqlgen.TABLES[p].format(gap=20)) for p in given}
+        raw = {p: (", ".join(f"a{n}" for n in range(len(sqlgen.COLUMNS[p]))), sqlgen.TABLES[p].format(gap=tables.GAP)) for p in given}
         for p in workloads.SEEDS:
             if p in program.derived:
                 source, cols = workloads.SEEDS[p]
                 at = [sqlgen.COLUMNS[source].index(c) for c in cols]
-                inner = sqlgen.TABLES[source].format(gap=20)
+                inner = sqlgen.TABLES[source].format(gap=tables.GAP)
                 columns = ", ".join(f"a{n}" for n in range(len(sqlgen.COLUMNS[source])))
                 raw[p] = ("a0, a1", f"SELECT DISTINCT {', '.join(f'a{i}' for i in at)} FROM ({inner}) s({columns})")
     arity = {p: len(c.split(",")) for p, (c, _) in raw.items()}

@@ -18,9 +18,8 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def max_gap(sf_dir: str) -> int:
-    """Forward edges span at most this; larger tables get more."""
-    return 20 if any(sf_dir.rstrip("/").endswith(x) for x in ("sf0.01", "sf0.001")) else 200
+#: Forward edges span at most this, in every folder and in the SQL.
+GAP = 20
 
 
 def _long(*pairs: tuple[str, str]) -> list:
@@ -125,7 +124,7 @@ def _edges(kind: str, forward: bool) -> Callable[[SparkSession, str], DataFrame]
         if kind != "any":
             rows = rows.where(F.col("event_type") == kind)
         if forward:
-            rows = rows.where((F.col("u") < F.col("v")) & (F.col("v") - F.col("u") <= max_gap(d)))
+            rows = rows.where((F.col("u") < F.col("v")) & (F.col("v") - F.col("u") <= GAP))
         return rows.select("u", "v")
 
     return make

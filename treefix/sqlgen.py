@@ -5,7 +5,7 @@ from __future__ import annotations
 import re
 
 from treefix.rules import Const, Program, Rule
-from treefix.sources.tables import EVENT_TYPES
+from treefix.sources.tables import EVENT_TYPES, GAP
 from treefix.workloads import SEEDS
 
 _SIGNS = "'{k}:' || array_to_string(list_transform(list_slice(embedding, 8 * {k} + 1, 8 * {k} + 8), lambda x: CASE WHEN x >= 0 THEN '1' ELSE '0' END), '')"
@@ -59,7 +59,7 @@ _NAMES = "LivesIn c n, Segment c g, BasedIn s n, InRegion n r, RegionName r x, P
 COLUMNS = {n.split()[0]: n.split()[1:] for n in _NAMES.split(", ")} | {p: ["u", "v"] for p in TABLES if p.startswith(("Handoff", "Forward"))}
 
 
-def facts_cte(pred: str, where: str = "", gap: int = 20) -> str:
+def facts_cte(pred: str, where: str = "", gap: int = GAP) -> str:
     """A predicate as a table expression with columns a0, a1 ..."""
     names = COLUMNS[pred]
     columns = ", ".join(f"a{n}" for n in range(len(names)))

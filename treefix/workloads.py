@@ -26,7 +26,13 @@ def _safe(value: object) -> str:
 
 def constants(spark: SparkSession, sf_dir: str) -> dict[str, list]:
     """The constant domains as the tables have them; the fixed ones only name how many to expect."""
-    one = lambda t, c: sorted(r[0] for r in tables.read(spark, sf_dir, t).select(c).distinct().limit(1000).collect())
+
+    def one(table: str, column: str, most: int = 1000) -> list:
+        found = sorted(r[0] for r in tables.read(spark, sf_dir, table).select(column).distinct().limit(most + 1).collect())
+        if len(found) > most:
+            raise ValueError(f"{table}.{column} has more than {most} constants, each of which needs a rule")
+        return found
+
     return {"brand": one("part", "p_brand"), "type": one("part", "p_type"), "segment": one("customer", "c_mktsegment"), "status": one("orders", "o_orderstatus"), "priority": one("orders", "o_orderpriority")}
 
 
