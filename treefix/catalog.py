@@ -274,10 +274,13 @@ def _charge(spark: SparkSession, sf_dir: str) -> DataFrame:
 _add("expr_charge", _charge, f"WITH {_CHARGE_ROWS} SELECT d, price * (100 - disc) * (100 + tax) AS v FROM lines_")
 
 
+#: Trees, and rows for each, of the generated expressions
+GENERATED = 300
+
+
 def _generated(spark: SparkSession, sf_dir: str) -> DataFrame:
-    n = 30 if "sf0.001" in sf_dir else 100
     line, part = (tables.read(spark, sf_dir, t) for t in ("lineitem", "part"))
-    facts, roots = generators.generated(line, part, n, n)
+    facts, roots = generators.generated(line, part, GENERATED, GENERATED)
     r = Reasoner(spark)
     workloads.load(r, workloads.Workload(workloads.EXPRESSIONS, facts)).materialise()
     return r.table("Val").toDF("e", "d", "v").join(roots, "e", "left_semi")
@@ -286,7 +289,7 @@ def _generated(spark: SparkSession, sf_dir: str) -> DataFrame:
 _LEAF = "[q, n, z][p % 3 + 1] + t % 3"
 
 
-def _generated_sql(depth: int = 5, n: int = 100) -> str:
+def _generated_sql(depth: int = 5, n: int = GENERATED) -> str:
     """The value of each tree by levels from the leaves up: a place's value is that of its operator over its children's."""
     lines = f"""chosen(d, q, n, z) AS (SELECT {_LINE_ID} AS d, CAST(min(l_quantity) AS BIGINT) % 10, CAST(min(l_linenumber) AS BIGINT) % 10, CAST(min(p_size) AS BIGINT) % 10 FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1 ORDER BY md5(d), d LIMIT {n})"""
     parts = [lines, f"shape(t, levels) AS (SELECT i, i % {depth - 1} + 1 FROM range(0, {n}) r(i))"]
