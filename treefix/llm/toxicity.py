@@ -1,71 +1,82 @@
 """Toxicity by a bidirectional gated recurrent network with attention pooling.
 
-Every word enters as a learned word vector and the mean of learned vectors of its character n-grams, so
-unseen spellings of a known stem count. Windows of ``WINDOW`` words, overlapping by half, cover the
-whole text; a document's score is the calibrated score of its most toxic window.
-
-The network is written and trained in numpy on a bounded sample of labelled rows
-(``SAMPLE_ROWS`` for each label, the smallest by hash of the id). First vectors come from
-label odds of words and n-grams in the sample; then, in turns, the top window of each
-document under the current weights is taken and the weights are fitted to those windows.
-Platt scaling on a part of the sample set aside gives probabilities, weighted to the label shares of the
-whole labelled table. Weights are a few hundred kB, whatever the corpus.
+Every word enters as a learned word vector and an attention pool over learned vectors of its character n-grams and
+prefixes, so unseen spellings of a known stem count, and the n-gram that tells most counts most. Windows of
+``WINDOW`` words, overlapping by half, cover the whole text; a document's score is the calibrated score of its
+most toxic window.
+
+The network is written and trained in numpy on a bounded sample of labelled rows: ``SAMPLE_ROWS`` for
+each label, the smallest by hash of the id, as long as their texts together stay within ``SAMPLE_BYTES``.
+Its vocabulary are the words and n-grams that tell most in the sample (``WORD_ROWS``, ``GRAM_ROWS``). First vectors
+come from their label odds; then, in turns, the top window of each document under the current weights is taken
+and the weights are fitted to those windows. Platt scaling on a part of the sample set aside gives
+probabilities, weighted to the label shares of the whole labelled table. Weights are about a MB, whatever the corpus.
 
 Null and empty texts have one empty window. Without labelled rows of both kinds, the
-score is the share of label 1 (0 if there is no label). Extra columns pass through; a column named as a result is replaced.
+score is the share of label 1 (0 if there is no label). Of rows that repeat a labelled id one text is learned from.
+Extra columns pass through; a column named as a result is replaced.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from treefix.llm.shared import as_bytes, rows_of, tidied
+from treefix.llm.shared import as_bytes, mixed, rows_of, tidied, word_hashes
 
-WINDOW, STRIDE, HIDDEN, WORD_DIM, CHAR_DIM, ATTENTION = 32, 16, 8, 6, 6, 8
-WORD_ROWS, CHAR_ROWS = 1 << 15, 1 << 15
-SAMPLE_ROWS, LEAST_STEPS, THRESHOLD, CACHE, LEAST_SEEN, RATE, PART = 1500, 120, 0.7, 200_000, 4, 0.3, 20_000
+WINDOW, STRIDE, HIDDEN, WORD_DIM, CHAR_DIM, ATTENTION = 64, 32, 8, 6, 6, 8
+WORD_ROWS, GRAM_ROWS = 1 << 13, 1 << 14
+SAMPLE_ROWS, SAMPLE_BYTES, LEAST_STEPS, THRESHOLD, CACHE, LEAST_SEEN, RATE, PART = 1500, 24 << 20, 120, 0.7, 200_000, 4, 0.3, 20_000
+INNER, PREFIXES, LONGEST = (3, 4, 5), (6, 7, 8, 9, 10), 1024
 _TABLE = bytes(c + 32 if 65 <= c <= 90 else c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in range(256))
 
 
 def words_of(text: bytes | None) -> list[bytes]:
-    return as_bytes(text).translate(_TABLE).split()
+    """Lower-cased words; one of over ``LONGEST`` bytes enters as several."""
+    words = as_bytes(text).translate(_TABLE).split()
+    if any(len(w) > LONGEST for w in words):
+        words = [w[at : at + LONGEST] for w in words for at in range(0, len(w), LONGEST)]
+    return words
 
 
-def gram_rows(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Table rows of the character 3- to 5-grams of words with their ends marked, word by
-    word in one array, and where each word's begin (and the last ends)."""
+def gram_hashes(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the character n-grams (``INNER``) and prefixes (``PREFIXES``) of whole words with their
+    ends marked, word by word in one array, and where each word's begin (and the last ends)."""
     if len(words) > PART:  # in parts: the arrays on the way are many times the result
-        parts = [gram_rows(words[at : at + PART]) for at in range(0, len(words), PART)]
+        parts = [gram_hashes(words[at : at + PART]) for at in range(0, len(words), PART)]
         bases = np.cumsum([0, *(ends[-1] for _, ends in parts)])
         return np.concatenate([g for g, _ in parts]), np.concatenate([[0], *(ends[1:] + b for (_, ends), b in zip(parts, bases))])
-    marked = [b"^" + w[:64] + b"$" for w in words]
+    marked = [b"^" + w + b"$" for w in words]
     sizes = np.fromiter(map(len, marked), dtype=np.int64, count=len(marked))
-    held = np.frombuffer(b"".join(marked), dtype=np.uint8).astype(np.uint32)
+    held = np.frombuffer(b"".join(marked), dtype=np.uint8).astype(np.uint64)
+    starts = np.cumsum(sizes) - sizes
     owner, left = np.repeat(np.arange(len(words)), sizes), np.repeat(np.cumsum(sizes), sizes) - np.arange(len(held))
-    rows, owners = [], []
-    with np.errstate(over="ignore"):
-        for n in (3, 4, 5):
-            own = np.flatnonzero(left >= n)
-            h = np.full(len(own), n, dtype=np.uint32)
+    found, owners = [], []
+    for n in (*INNER, *PREFIXES):
+        own = np.flatnonzero(left >= n) if n in INNER else starts[sizes > n]  # a prefix lacks the end mark
+        h = np.full(len(own), n, dtype=np.uint64)
+        with np.errstate(over="ignore"):
             for k in range(n):
-                h = (h ^ held[own + k]) * np.uint32(0x01000193)
-            rows.append(((h ^ (h >> np.uint32(15))) * np.uint32(0x85EBCA6B) >> np.uint32(8)) % np.uint32(CHAR_ROWS))
-            owners.append(owner[own])
+                h = (h ^ held[own + k]) * np.uint64(0x100000001B3)
+        found.append(mixed(h))
+        owners.append(owner[own])
     owners = np.concatenate(owners)
     order = np.argsort(owners, kind="stable")
-    return np.concatenate(rows)[order].astype(np.int32), np.concatenate([[0], np.cumsum(np.bincount(owners, minlength=len(words)))])
+    return np.concatenate(found)[order], np.concatenate([[0], np.cumsum(np.bincount(owners, minlength=len(words)))])
 
 
-def word_row(word: bytes) -> int:
-    return xxhash.xxh32_intdigest(word, 1) % WORD_ROWS
+def place_in(vocabulary: np.ndarray, hashes: np.ndarray) -> np.ndarray:
+    """Rows of hashes in a sorted vocabulary, from 1; 0 for others."""
+    if not len(vocabulary):
+        return np.zeros(len(hashes), dtype=np.int32)
+    at = np.minimum(np.searchsorted(vocabulary, hashes), len(vocabulary) - 1)
+    return np.where(vocabulary[at] == hashes, at + 1, 0).astype(np.int32)
 
 
 def window_starts(n: int) -> range:
@@ -74,33 +85,61 @@ def window_starts(n: int) -> range:
 
 @dataclass
 class Network:
-    """The weights. ``p`` holds arrays by name; both directions lie side by side."""
+    """The weights. ``p`` holds arrays by name; both directions lie side by side. Row 0 of the vectors stands for words
+    outside the vocabulary, and as an n-gram it is part of every word; the last column of n-grams is what attention goes by."""
 
     p: dict[str, np.ndarray] = field(default_factory=dict)
+    words: np.ndarray = field(default_factory=lambda: np.zeros(0, np.uint64))
+    grams: np.ndarray = field(default_factory=lambda: np.zeros(0, np.uint64))
     scale: float = 1.0
     shift: float = 0.0
     prior: float | None = None  # set if there was nothing to learn from
 
     @classmethod
-    def fresh(cls, seed: int = 7) -> Network:
+    def fresh(cls, seed: int = 7, words: np.ndarray | None = None, grams: np.ndarray | None = None) -> Network:
         rng = np.random.default_rng(seed)
+        words, grams = (np.zeros(0, np.uint64) if x is None else x for x in (words, grams))
         d, h = WORD_DIM + CHAR_DIM, HIDDEN
         draw = lambda *s: (rng.standard_normal(s) / np.sqrt(s[-2] if len(s) > 1 else s[0])).astype(np.float32)
-        p = {"word": 0.05 * draw(WORD_ROWS, WORD_DIM) * np.sqrt(WORD_ROWS), "char": 0.05 * draw(CHAR_ROWS, CHAR_DIM) * np.sqrt(CHAR_ROWS)}
+        p = {"word": 0.05 * rng.standard_normal((len(words) + 1, WORD_DIM)), "gram": 0.05 * rng.standard_normal((len(grams) + 1, CHAR_DIM + 1))}
+        p["word"][0] = p["gram"][0] = 0
         for k in ("f", "b"):
             p |= {f"x{k}": draw(d, 3 * h), f"c{k}": np.zeros(3 * h, np.float32), f"u{k}": draw(h, 3 * h)}
         p |= {"wa": draw(2 * h, ATTENTION), "ba": np.zeros(ATTENTION, np.float32), "va": draw(ATTENTION), "wo": draw(2 * h), "bo": np.zeros(1, np.float32)}
-        return cls({k: v.astype(np.float32) for k, v in p.items()})
+        return cls({k: v.astype(np.float32) for k, v in p.items()}, words, grams)
+
+    def rows_of(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Rows of words, rows of their n-grams word by word (row 0 first), and where each word's begin."""
+        parts = []
+        for at in range(0, len(words), PART):
+            part = words[at : at + PART]
+            hashes, ends = gram_hashes(part)
+            rows = place_in(self.grams, hashes)
+            known = np.flatnonzero(rows)
+            owner = np.repeat(np.arange(len(part)), np.diff(ends))[known]
+            sizes = 1 + np.bincount(owner, minlength=len(part))
+            begin = np.concatenate([[0], np.cumsum(sizes)])
+            held = np.zeros(begin[-1], np.int32)
+            held[np.arange(len(known)) + owner + 1] = rows[known]
+            parts.append((place_in(self.words, word_hashes(part, 1)), held, sizes))
+        if not parts:
+            return np.zeros(0, np.int32), np.zeros(0, np.int32), np.zeros(1, np.int64)
+        return np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts]), np.concatenate([[0], np.cumsum(np.concatenate([p[2] for p in parts]))])
 
     def vectors(self, words: list[bytes]) -> np.ndarray:
-        """Input vectors of words: the word's own, then the mean over its n-grams."""
+        """Input vectors of words: the word's own, then the pool over its n-grams."""
         if not words:
             return np.zeros((0, WORD_DIM + CHAR_DIM), np.float32)
-        return self.looked_up(np.fromiter(map(word_row, words), dtype=np.int64, count=len(words)), *gram_rows(words))
+        return self.looked_up(*self.rows_of(words))[0]
 
-    def looked_up(self, rows: np.ndarray, grams: np.ndarray, ends: np.ndarray) -> np.ndarray:
-        total = np.add.reduceat(self.p["char"][grams], ends[:-1], axis=0)
-        return np.concatenate([self.p["word"][rows], total / np.diff(ends)[:, None]], axis=1).astype(np.float32)
+    def looked_up(self, rows: np.ndarray, grams: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Vectors, and the attention that each n-gram gets."""
+        held, first, sizes = self.p["gram"][grams], ends[:-1], np.diff(ends)
+        e = held[:, CHAR_DIM]
+        w = np.exp(e - np.repeat(np.maximum.reduceat(e, first), sizes))
+        w /= np.repeat(np.add.reduceat(w, first), sizes)
+        pooled = np.add.reduceat(held[:, :CHAR_DIM] * w[:, None], first, axis=0)
+        return np.concatenate([self.p["word"][rows], pooled], axis=1).astype(np.float32), w
 
     def projected(self, x: np.ndarray) -> np.ndarray:
         return np.concatenate([x @ self.p["xf"] + self.p["cf"], x @ self.p["xb"] + self.p["cb"]], axis=-1)
@@ -173,6 +212,15 @@ class Network:
             d_x += g_in @ p[f"x{name}"].T
         return g, d_x
 
+    def descend(self, rows: np.ndarray, grams: np.ndarray, ends: np.ndarray, share: np.ndarray, x: np.ndarray, d_x: np.ndarray) -> None:
+        """A gradient step of the vectors behind input vectors ``x``; those outside the vocabulary stay zero."""
+        sizes = np.diff(ends)
+        d_pool = np.repeat(d_x[:, WORD_DIM:], sizes, axis=0)
+        lead = ((self.p["gram"][grams, :CHAR_DIM] - np.repeat(x[:, WORD_DIM:], sizes, axis=0)) * d_pool).sum(axis=1) * share
+        np.subtract.at(self.p["gram"], grams, RATE * np.concatenate([d_pool * share[:, None], lead[:, None]], axis=1))
+        np.subtract.at(self.p["word"], rows, RATE * d_x[:, :WORD_DIM])
+        self.p["word"][0] = self.p["gram"][0] = 0
+
     def probability(self, logit: np.ndarray) -> np.ndarray:
         if self.prior is not None:
             return np.full(len(logit), self.prior)
@@ -238,21 +286,34 @@ class Scorer:
         return self.net.probability(np.maximum.reduceat(self.window_logits(index), begin[:-1]).astype(np.float64))
 
 
-def _seen(rows_of_doc: Iterable[np.ndarray], labels: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
-    """How many documents, and how many of label 1, hold each table row."""
-    seen, toxic = np.zeros(size), np.zeros(size)
-    for rows, y in zip(rows_of_doc, labels):
-        own = np.unique(rows)
-        seen[own] += 1
-        toxic[own] += y
-    return seen, toxic
-
-
-def _odds(seen: np.ndarray, toxic: np.ndarray, labels: np.ndarray) -> np.ndarray:
-    """Shrunk log odds of label 1 by table row."""
-    ones, zeros = max(labels.sum(), 1), max((1 - labels).sum(), 1)
+def _telling(docs: list[np.ndarray], y: np.ndarray, most: int, buckets: int = 1 << 22) -> tuple[np.ndarray, np.ndarray]:
+    """The sorted hashes that tell most about the label, at most ``most``, and their shrunk log odds of label 1.
+    ``docs``: the distinct hashes of each document. Buckets are counted first, so only telling ones are counted one by one."""
+    ones, zeros = max(float(y.sum()), 1.0), max(float((1 - y).sum()), 1.0)
+
+    def strength(seen: np.ndarray, toxic: np.ndarray) -> np.ndarray:
+        share = seen / (ones + zeros)
+        gap = toxic / ones - (seen - toxic) / zeros
+        return np.where(seen >= LEAST_SEEN, np.abs(gap) / np.sqrt(np.maximum(share * (1 - share), 1e-9) * (1 / ones + 1 / zeros)), 0.0)
+
+    seen, toxic = np.zeros(buckets, np.float32), np.zeros(buckets, np.float32)
+    for own, label in zip(docs, y):
+        at = np.unique(own % np.uint64(buckets)).astype(np.int64)
+        seen[at] += 1
+        if label:
+            toxic[at] += 1
+    good = strength(seen, toxic) >= 2
+    del seen, toxic
+    left = [own[good[(own % np.uint64(buckets)).astype(np.int64)]] for own in docs]
+    names, inverse = np.unique(np.concatenate([*left, np.zeros(0, np.uint64)]), return_inverse=True)
+    label = np.repeat(y, [len(x) for x in left])
+    seen, toxic = np.bincount(inverse, minlength=len(names)).astype(float), np.bincount(inverse, label, minlength=len(names))
+    value = strength(seen, toxic)
+    kept = np.flatnonzero(value >= 2)
+    kept = np.sort(kept[np.lexsort((names[kept], -value[kept]))[:most]])
+    seen, toxic = seen[kept], toxic[kept]
     odds = np.log((toxic + 0.5) / (ones + 1)) - np.log((seen - toxic + 0.5) / (zeros + 1))
-    return (odds * seen / (seen + 8)).astype(np.float32)
+    return names[kept], (odds * seen / (seen + 4)).astype(np.float32)
 
 
 def fit(texts: list[bytes | None], labels: list[int], shares: tuple[int, int] | None = None, rounds: int = 3, epochs: int = 4, seed: int = 7) -> Network:
@@ -260,35 +321,33 @@ def fit(texts: list[bytes | None], labels: list[int], shares: tuple[int, int] |
     y = np.array(labels, dtype=np.float32)
     if len(y) == 0 or y.min() == y.max():
         return Network(Network.fresh(seed).p, prior=float(y.mean()) if len(y) else 0.0)
-    net, rng = Network.fresh(seed), np.random.default_rng(seed)
+    rng = np.random.default_rng(seed)
     aside = rng.random(len(y)) < 0.2
     for label in (0, 1):  # both parts need both labels
         own = np.flatnonzero(y == label)
         aside[own[0]], aside[own[-1]] = False, True
     train = np.flatnonzero(~aside)
+
+    def hashed(kind) -> list[np.ndarray]:
+        return [np.unique(kind(sorted(set(words_of(texts[i]))))) for i in train]
+
+    word_names, word_odds = _telling(hashed(lambda words: word_hashes(words, 1)), y[train], WORD_ROWS)
+    gram_names, gram_odds = _telling(hashed(lambda words: gram_hashes(words)[0] if words else np.zeros(0, np.uint64)), y[train], GRAM_ROWS)
+    net = Network.fresh(seed, word_names, gram_names)
+    net.p["word"][1:, 0], net.p["gram"][1:, 0], net.p["gram"][1:, CHAR_DIM] = 0.5 * word_odds, 0.5 * gram_odds, 1.5 * np.abs(gram_odds)
     unique: dict[bytes, int] = {}
-    numbers_of = []  # of the training documents, the words that each holds
-    for i, text in enumerate(texts):
-        own = np.unique(np.fromiter((unique.setdefault(w, len(unique)) for w in words_of(text)), np.int32))
-        if not aside[i]:
-            numbers_of.append(own)
+    for text in texts:
+        for w in words_of(text):
+            unique.setdefault(w, len(unique))
     names = list(unique)
-    rows, (grams, ends) = np.array([word_row(w) for w in names], dtype=np.int64), gram_rows(names)
+    rows, grams, ends = net.rows_of(names)
 
     def own_grams(numbers: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         sizes = ends[numbers + 1] - ends[numbers]
         cuts = np.concatenate([[0], np.cumsum(sizes)])
         return grams[np.arange(cuts[-1]) + np.repeat(ends[numbers] - cuts[:-1], sizes)], cuts
 
-    # rows that few documents hold stay zero, so the fit can't learn documents by heart
-    free = {}
-    for name, found, size in (("word", (rows[n] for n in numbers_of), WORD_ROWS), ("char", (own_grams(n)[0] for n in numbers_of), CHAR_ROWS)):
-        seen, toxic = _seen(found, y[train], size)
-        free[name] = (seen >= LEAST_SEEN).astype(np.float32)[:, None]
-        net.p[name][:, 0] = 0.5 * _odds(seen, toxic, y[train])
-        net.p[name] *= free[name]
-    del numbers_of
-    state = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in net.p.items() if k not in ("word", "char")}
+    state = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in net.p.items() if k not in ("word", "gram")}
     step = 0
 
     def adam(name: str, grad: np.ndarray, rate: float) -> None:
@@ -301,9 +360,9 @@ def fit(texts: list[bytes | None], labels: list[int], shares: tuple[int, int] |
     for turn in range(rounds):
         scorer = Scorer(net)
         index, begin = scorer.all_windows(texts)
-        if turn == 0:  # the window whose words have the highest odds
-            strength = np.concatenate([[-9.0], *(net.vectors(names[at : at + PART])[:, [0, WORD_DIM]].max(axis=1) for at in range(0, len(names), PART))])
-            value = strength[_renamed(scorer, unique)[index]].max(axis=1)
+        if turn == 0:  # the window whose words speak most for label 1 together
+            strength = np.concatenate([[0.0], *(np.maximum(net.vectors(names[at : at + PART])[:, [0, WORD_DIM]].max(axis=1), 0) for at in range(0, len(names), PART))])
+            value = strength[_renamed(scorer, unique)[index]].sum(axis=1)
         else:
             value = scorer.window_logits(index)
         top = np.array([begin[i] + int(np.argmax(value[begin[i] : begin[i + 1]])) for i in range(len(y))])
@@ -323,19 +382,19 @@ def fit(texts: list[bytes | None], labels: list[int], shares: tuple[int, int] |
                 real = ids > 0
                 used, place = np.unique(ids, return_inverse=True)
                 numbers = used[used > 0] - 1
-                held, cuts = own_grams(numbers)
                 x = np.zeros((len(used), WORD_DIM + CHAR_DIM), np.float32)
-                x[used > 0] = net.looked_up(rows[numbers], held, cuts)
+                if len(numbers):
+                    held, cuts = own_grams(numbers)
+                    x[used > 0], share = net.looked_up(rows[numbers], held, cuts)
                 g, d_x = net.gradients(x[place.reshape(ids.shape)], real, target[part], weight[part])
                 step += 1
-                per_word = np.zeros_like(x)
-                np.add.at(per_word, place.ravel(), d_x.reshape(-1, d_x.shape[2]))
-                per_word = per_word[used > 0]
-                np.subtract.at(net.p["word"], rows[numbers], RATE * per_word[:, :WORD_DIM] * free["word"][rows[numbers]])
-                sizes = np.diff(cuts)
-                np.subtract.at(net.p["char"], held, np.repeat(RATE * per_word[:, WORD_DIM:] / sizes[:, None], sizes, axis=0) * free["char"][held])
                 for name, grad in g.items():
                     adam(name, grad, 0.01 if turn < rounds - 1 else 0.003)
+                if not len(numbers):
+                    continue
+                per_word = np.zeros_like(x)
+                np.add.at(per_word, place.ravel(), d_x.reshape(-1, d_x.shape[2]))
+                net.descend(rows[numbers], held, cuts, share, x[used > 0], per_word[used > 0])
     scorer = Scorer(net)
     held_out = np.flatnonzero(aside)
     index, begin = scorer.all_windows([texts[i] for i in held_out])
@@ -375,8 +434,8 @@ def is_held_out(id_col: str = "doc_id"):
     return F.pmod(F.crc32(F.col(id_col).cast("string")), F.lit(3)) == 1
 
 
-def train(docs: DataFrame, labels: DataFrame, per_label: int = SAMPLE_ROWS) -> Network:
-    """Fits to at most ``per_label`` documents of each label, none of them held out."""
+def train(docs: DataFrame, labels: DataFrame, per_label: int = SAMPLE_ROWS, most_bytes: int = SAMPLE_BYTES) -> Network:
+    """Fits to at most ``per_label`` documents of each label, of ``most_bytes`` together, none of them held out."""
     known = labels.where(F.col("toxic").isin(0, 1)).where(~is_held_out()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     counts = {r["toxic"]: r["count"] for r in known.groupBy("toxic").count().collect()}
     order = F.xxhash64(F.col("doc_id")), F.col("doc_id")
@@ -384,8 +443,14 @@ def train(docs: DataFrame, labels: DataFrame, per_label: int = SAMPLE_ROWS) -> N
     for label in (0, 1):
         part = known.where(F.col("toxic") == label).orderBy(*order).limit(per_label)
         picked = part if picked is None else picked.unionByName(part)
-    texts = docs.select("doc_id", F.col("text").cast("binary").alias("text")).join(F.broadcast(picked), "doc_id")  # at most 2 * per_label rows
-    rows = sorted((r["doc_id"], r["toxic"], bytes(r["text"] or b"")) for r in texts.orderBy(*order).limit(4 * per_label).collect())
+    texts = docs.select("doc_id", F.col("text").cast("binary").alias("text")).join(F.broadcast(picked), "doc_id")  # at most 2 * per_label ids
+    texts = texts.groupBy("doc_id", "toxic").agg(F.min(F.struct(F.coalesce(F.octet_length("text"), F.lit(0)).alias("size"), "text")).alias("t"))
+    # at most 2 * per_label rows; of both labels alternately, while there is room
+    turn = F.row_number().over(Window.partitionBy("toxic").orderBy(*order))
+    sizes = texts.select("doc_id", "toxic", F.col("t.size").alias("size")).withColumn("turn", turn)
+    room = F.sum("size").over(Window.orderBy("turn", "toxic").rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    fits = sizes.withColumn("room", room).where(F.col("room") <= most_bytes).select("doc_id")
+    rows = sorted((r["doc_id"], r["toxic"], bytes(r["text"] or b"")) for r in texts.select("doc_id", "toxic", "t.text").join(F.broadcast(fits), "doc_id").collect())
     return fit([r[2] for r in rows], [r[1] for r in rows], (counts.get(0, 0), counts.get(1, 0)) if len(counts) == 2 else None)
 
 
