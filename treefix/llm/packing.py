@@ -9,7 +9,7 @@ histogram of remainder lengths (at most ``capacity`` rows, whatever the corpus):
 tree indexed by remaining room finds the tightest class of open windows, and a
 whole run of equal pieces is placed at once, exactly as one by one. The plan (runs of ranks) is
 joined back to the pieces by length and rank. Ranks come from counts per length
-and salt, so neither a common length nor a large corpus meets in one task.
+and salt, with about ``RANKED`` pieces for each of them, so neither a common length nor a large corpus meets in one task.
 
 Null and empty texts are one end token. Rows with equal or null ids are pieces of their
 own. An empty table gives no piece.
@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from treefix.llm.shared import rows_of, stage, tidied
 from treefix.llm.tokens import encode, vocabulary_path
 
-CAPACITY, END_ID, SALTS = 1024, 0, 64
+CAPACITY, END_ID, RANKED = 1024, 0, 100_000
 PIECE = "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint"
 
 
@@ -121,15 +121,17 @@ def _pieces(path: str, capacity: int, end_id: int):
     return run
 
 
-def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, capacity: int = CAPACITY, end_id: int = END_ID) -> DataFrame:
+def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, capacity: int = CAPACITY, end_id: int = END_ID, ranked_at_once: int = RANKED) -> DataFrame:
     """A row for each piece: ``doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset``."""
     spark = docs.sparkSession
     d = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
     pieces = stage(d.mapInArrow(tidied(_pieces(path or vocabulary_path(), capacity, end_id)), PIECE), "pieces")
-    salt = F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), F.lit(SALTS)).alias("salt")
-    salted = pieces.select("*", salt)
+    # at most `capacity` rows, whatever the corpus
+    salts = [(r["length"], -(-r["count"] // ranked_at_once)) for r in pieces.groupBy("length").count().collect()]
+    many = spark.createDataFrame(salts, "length bigint, salts bigint")
+    salted = pieces.join(F.broadcast(many), "length").withColumn("salt", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), F.col("salts"))).drop("salts")
     counts = salted.groupBy("length", "salt").count()
-    # capacity x SALTS rows at most, whatever the corpus
+    # a row for each length, and one more for each `ranked_at_once` pieces
     table = {(r["length"], r["salt"]): r["count"] for r in counts.collect()}
     before, ranks, histogram = {}, [], {}
     for (length, s), n in sorted(table.items()):

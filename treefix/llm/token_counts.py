@@ -1,9 +1,8 @@
 """Exact token counts of a corpus for every context limit, from one length histogram.
 
 Documents are aggregated by encoded length before anything is shuffled, so the shuffle
-carries a row for each length and task. Running sums from the long end answer, for a
-limit at any length: documents and tokens at or above it, tokens kept if every document is
-truncated there, and which quantile of the documents it is.
+carries a row for each length and task. Running sums answer for every context limit: documents and
+tokens at or above it, tokens kept if every document is truncated there, and which quantile of the documents it is.
 
 Null and empty texts have length 0 (1 with the end token). An empty table gives no row.
 """
@@ -40,20 +39,31 @@ def length_histogram(docs: DataFrame, text_col: str = "text", path: str | None =
     return counted.groupBy("length").agg(F.sum("n_docs").alias("n_docs"))
 
 
+BUCKET = 4096
+
+
 def context_totals(histogram: DataFrame) -> DataFrame:
-    """For each length that occurs, as a context limit: suffix and prefix totals.
-
-    ``docs_from`` / ``tokens_from``: documents of at least that length and their tokens;
-    ``kept_tokens``: tokens left if all documents are cut there; ``quantile``: share of documents
-    that are no longer. One row for each distinct length goes through the window."""
-    down = Window.orderBy(F.desc("length")).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    up = Window.orderBy(F.asc("length")).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    h = histogram.withColumn("tokens", F.col("length") * F.col("n_docs"))
-    h = h.withColumn("docs_from", F.sum("n_docs").over(down)).withColumn("tokens_from", F.sum("tokens").over(down))
-    h = h.withColumn("docs_to", F.sum("n_docs").over(up)).withColumn("tokens_to", F.sum("tokens").over(up))
-    all_docs = F.col("docs_from") + F.col("docs_to") - F.col("n_docs")
-    kept = F.col("tokens_to") + F.col("length") * (F.col("docs_from") - F.col("n_docs"))
-    return h.select("length", "n_docs", "tokens", "docs_from", "tokens_from", kept.alias("kept_tokens"), (F.col("docs_to") / all_docs).alias("quantile"))
+    """A row for each length that occurs, which answers for every context limit from ``first_limit`` (one above
+    the next smaller length) to ``length``: suffix and prefix totals.
+
+    ``docs_from`` / ``tokens_from``: documents of at least that limit and their tokens; ``shorter_tokens``: tokens of all
+    others, so ``shorter_tokens + limit * docs_from`` are left if all documents are cut there, and
+    ``kept_tokens`` at ``length`` itself; ``quantile``: share of documents that are no longer than ``length``.
+    Sums run within ``BUCKET`` lengths and over buckets, so a task gets that many lengths, or a row for each bucket."""
+    h = histogram.withColumn("tokens", F.col("length") * F.col("n_docs")).withColumn("bucket", F.floor(F.col("length") / BUCKET))
+    sums = h.groupBy("bucket").agg(F.sum("n_docs").alias("docs"), F.sum("tokens").alias("all"), F.max("length").alias("longest"))
+    before = Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    whole = Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    zero = lambda c: F.coalesce(c, F.lit(0))
+    sums = sums.select("bucket", zero(F.sum("docs").over(before)).alias("docs_below"), zero(F.sum("all").over(before)).alias("tokens_below"), F.max("longest").over(before).alias("length_below"), F.sum("docs").over(whole).alias("all_docs"), F.sum("all").over(whole).alias("all_tokens"))
+    up = Window.partitionBy("bucket").orderBy("length")
+    shorter = up.rowsBetween(Window.unboundedPreceding, -1)
+    h = h.join(sums, "bucket")
+    h = h.withColumn("shorter_docs", F.col("docs_below") + zero(F.sum("n_docs").over(shorter))).withColumn("shorter_tokens", F.col("tokens_below") + zero(F.sum("tokens").over(shorter)))
+    h = h.withColumn("first_limit", zero(F.coalesce(F.lag("length").over(up), "length_below") + 1))
+    h = h.withColumn("docs_from", F.col("all_docs") - F.col("shorter_docs"))
+    kept = F.col("shorter_tokens") + F.col("length") * F.col("docs_from")
+    return h.select("length", "first_limit", "n_docs", "tokens", "docs_from", (F.col("all_tokens") - F.col("shorter_tokens")).alias("tokens_from"), "shorter_tokens", kept.alias("kept_tokens"), ((F.col("shorter_docs") + F.col("n_docs")) / F.col("all_docs")).alias("quantile"))
 
 
 def kept_at(histogram: DataFrame, limits: list[int]) -> DataFrame:

@@ -2,7 +2,8 @@
 
 The vocabulary file of the ``tokenizers`` library is read; its merges are applied by
 the rank encoder of ``tiktoken``, which yields the same ids several times
-faster (held against ``tokenizers`` itself in the tests).
+faster (held against ``tokenizers`` itself in the tests). As ``tokenizers`` does by default, the string of an
+added token (such as the end-of-text token) that occurs in a text becomes that token's id.
 """
 
 from __future__ import annotations
@@ -37,10 +38,18 @@ def encoder(path: str):
 
     with open(path, encoding="utf-8") as f:
         model = json.load(f)
-    added = {t["id"] for t in model.get("added_tokens", [])}
-    table = byte_of_symbol()
-    ranks = {bytes(table[c] for c in token): rank for token, rank in model["model"]["vocab"].items() if rank not in added}
-    return tiktoken.Encoding("bytes", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    added = model.get("added_tokens", [])
+    if any(t["single_word"] or t["lstrip"] or t["rstrip"] or t["normalized"] or " " in t["content"] for t in added):
+        raise ValueError("added tokens that take in what is beside them, or hold a space, are not supported")
+    table, special = byte_of_symbol(), {t["content"]: t["id"] for t in added}
+    ranks = {bytes(table[c] for c in token): rank for token, rank in model["model"]["vocab"].items() if rank not in special.values()}
+    return tiktoken.Encoding("bytes", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=special)
+
+
+def _ids(own, text: str) -> list[int]:
+    if any(t in text for t in own.special_tokens_set):
+        return own.encode(text, allowed_special="all")
+    return own.encode_ordinary(text)
 
 
 PART = 1 << 16
@@ -55,11 +64,11 @@ def encode(text: str | None, path: str) -> np.ndarray:
         return np.zeros(0, dtype="<u4")
     own = encoder(path)
     if len(text) <= PART:
-        return np.array(own.encode_ordinary(text), dtype="<u4")
+        return np.array(_ids(own, text), dtype="<u4")
     parts, start = [], 0
     while start < len(text):
         end = _break(text, start + PART)
-        parts.append(np.array(own.encode_ordinary(text[start:end]), dtype="<u4"))
+        parts.append(np.array(_ids(own, text[start:end]), dtype="<u4"))
         start = end
     return np.concatenate(parts)
 
