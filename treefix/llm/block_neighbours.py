@@ -9,7 +9,8 @@ result is exact; int8 only saves work.
 
 The k best of each query and lane are merged by a second, small top-k. Vectors that are null, zero, or hold
 null or non-finite components take no part; neither do rows without id. Rows that
-repeat an id are candidates of their own, but never of their own id. Fewer candidates than ``k``: all.
+repeat an id are candidates of their own, but never of their own id; of query rows that repeat an id the one with the
+least vector is asked. Fewer candidates than ``k``: all.
 """
 
 from __future__ import annotations
@@ -21,9 +22,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from treefix.llm.vectors import blocks, storage, tiles, usable
+from treefix.llm.shared import tidied
+from treefix.llm.vectors import asked, blocks, cells, grid, storage, usable
 
-K, QUERY_ROWS, CANDIDATE_ROWS, LANES = 20, 1024, 4096, 16
+K, QUERY_ROWS, CANDIDATE_ROWS, SIDE_BLOCKS, LANE_BLOCKS = 20, 1024, 4096, 4, 16
 FOUND = "query_id bigint, vec_id bigint, score double"
 
 
@@ -87,20 +89,19 @@ def _search(k: int, q_kind: str, c_kind: str):
             heaps.push(r, c_ids[j], exact_products(q[r], c[j]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, heaps, q = None, None, None
-        for batch in batches:
-            for i in range(batch.num_rows):
-                row = {n: batch.column(n)[i].as_py() for n in ("q_ids", "q_matrix", "ids", "matrix", "width", "lane")}
-                key = (row["lane"], row["q_ids"])
-                if key != held:
-                    if heaps is not None and len(heaps.query):
-                        yield heaps.batch()
-                    held, heaps = key, Heaps(np.frombuffer(row["q_ids"], dtype="<i8"), k)
-                    q = np.frombuffer(row["q_matrix"], dtype=q_kind).astype(np.float64).reshape(-1, row["width"])
-                c = np.frombuffer(row["matrix"], dtype=c_kind).astype(np.float64).reshape(-1, row["width"])
-                tile(heaps, q, np.frombuffer(row["ids"], dtype="<i8"), c)
-        if heaps is not None and len(heaps.query):
-            yield heaps.batch()
+        held, asked_of = None, []  # the cell, and its query blocks with their heaps
+        for cell, side, ids, matrix in cells(batches):
+            if cell != held:
+                yield from (heaps.batch() for heaps, _ in asked_of if len(heaps.query))
+                held, asked_of = cell, []
+            ids = np.frombuffer(ids, dtype="<i8")
+            rows = np.frombuffer(matrix, dtype=c_kind if side else q_kind).astype(np.float64).reshape(len(ids), -1)
+            if not side:
+                asked_of.append((Heaps(ids, k), rows))
+                continue
+            for heaps, q in asked_of:
+                tile(heaps, q, ids, rows)
+        yield from (heaps.batch() for heaps, _ in asked_of if len(heaps.query))
 
     return run
 
@@ -115,6 +116,6 @@ def merged(found: DataFrame, k: int) -> DataFrame:
 def nearest(queries: DataFrame, candidates: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", k: int = K) -> DataFrame:
     """``query_id, rank, vec_id, score``: the k candidates of largest inner product for each query row."""
     q_kind, c_kind = storage(queries, vec_col), storage(candidates, vec_col)
-    q = blocks(usable(queries, id_col, vec_col, False), QUERY_ROWS, lambda m: m.astype(q_kind))
+    q = blocks(asked(usable(queries, id_col, vec_col, False)), QUERY_ROWS, lambda m: m.astype(q_kind))
     c = blocks(usable(candidates, id_col, vec_col, False), CANDIDATE_ROWS, lambda m: m.astype(c_kind))
-    return merged(tiles(q, c, LANES).mapInArrow(_search(k, q_kind, c_kind), FOUND), k)
+    return merged(grid(q, c, SIDE_BLOCKS, LANE_BLOCKS).mapInArrow(tidied(_search(k, q_kind, c_kind)), FOUND), k)

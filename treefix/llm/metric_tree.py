@@ -13,7 +13,7 @@ entries and vectors out before any distance to them is computed. Bounds carry a
 products are whole numbers, so the result is exact, ties to the smaller id.
 
 Vectors that are null or hold null or non-finite components, and rows without id, take no part. Zero
-vectors do. Products must fit in 64 bits. Fewer candidates than ``k``: all.
+vectors do. Products must fit in 64 bits. Fewer candidates than ``k``: all. Of query rows that repeat an id the one with the least vector is asked.
 """
 
 from __future__ import annotations
@@ -25,12 +25,13 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from treefix.llm.block_neighbours import merged
-from treefix.llm.shared import stage
-from treefix.llm.vectors import blocks, tiles, usable
+from treefix.llm.shared import tidied
+from treefix.llm.vectors import BLOCK, asked, blocks, cells, grid, usable
 
-K, SCALE, PAGE, FANOUT, SHARD_ROWS, QUERY_ROWS, LANES = 20, 64, 512, 16, 16384, 512, 8
+K, SCALE, PAGE, FANOUT, SHARD_ROWS, QUERY_ROWS, SIDE_BLOCKS, LANE_BLOCKS = 20, 64, 512, 16, 16384, 512, 8, 4
 SLACK = 1e-6
 
 
@@ -172,43 +173,55 @@ class MetricTree:
         return computed
 
 
-def _index(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        for i in range(batch.num_rows):
-            ids, width = np.frombuffer(batch.column("ids")[i].as_py(), dtype="<i8"), batch.column("width")[i].as_py()
-            tree = MetricTree.build(ids, np.frombuffer(batch.column("matrix")[i].as_py(), dtype="<i8").reshape(-1, width))
-            yield pa.RecordBatch.from_arrays([batch.column("ids").slice(i, 1), pa.array([tree.dump()], pa.binary()), batch.column("width").slice(i, 1)], names=["ids", "matrix", "width"])
+def _index(page: int, fanout: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):
+                ids, width = np.frombuffer(batch.column("ids")[i].as_py(), dtype="<i8"), batch.column("width")[i].as_py()
+                tree = MetricTree.build(ids, np.frombuffer(batch.column("matrix")[i].as_py(), dtype="<i8").reshape(-1, width), page, fanout)
+                rest = [batch.column(n).slice(i, 1) for n in ("width", "task", "turn")]
+                yield pa.RecordBatch.from_arrays([batch.column("ids").slice(i, 1), pa.array([tree.dump()], pa.binary()), *rest], names=["ids", "matrix", "width", "task", "turn"])
+
+    return run
 
 
 def _search(k: int):
-    def out(q_ids: np.ndarray, heaps: list[list]) -> pa.RecordBatch:
-        flat = [(int(q), -i, s) for q, heap in zip(q_ids, heaps) for s, i in heap]
-        return pa.RecordBatch.from_arrays([pa.array(list(c), pa.int64()) for c in zip(*flat)] if flat else [pa.array([], pa.int64())] * 3, names=["query_id", "vec_id", "score"])
+    def out(blocks_: list) -> pa.RecordBatch:
+        flat = [(int(q), -i, s, 0 if n else products) for q_ids, _, heaps, work in blocks_ for q, heap, products in zip(q_ids, heaps, work) for n, (s, i) in enumerate(heap)]
+        return pa.RecordBatch.from_arrays([pa.array(list(c), pa.int64()) for c in zip(*flat)] if flat else [pa.array([], pa.int64())] * 4, names=["query_id", "vec_id", "score", "products"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, heaps, q, q_ids = None, [], None, None
-        for batch in batches:
-            for i in range(batch.num_rows):
-                key = (batch.column("lane")[i].as_py(), batch.column("q_ids")[i].as_py())
-                if key != held:
-                    if held is not None:
-                        yield out(q_ids, heaps)
-                    held, q_ids = key, np.frombuffer(key[1], dtype="<i8")
-                    q = np.frombuffer(batch.column("q_matrix")[i].as_py(), dtype="<i8").reshape(len(q_ids), -1)
-                    heaps = [[] for _ in q_ids]
-                tree = MetricTree.load(batch.column("matrix")[i].as_py())
-                for heap, one, vector in zip(heaps, q_ids.tolist(), q):
-                    tree.search(one, vector, k, heap)
-        if held is not None:
-            yield out(q_ids, heaps)
+        held, asked_of = None, []  # the cell, and its query blocks with their heaps and how many products they took
+        for cell, side, ids, matrix in cells(batches):
+            if cell != held:
+                yield out(asked_of)
+                held, asked_of = cell, []
+            if not side:
+                ids = np.frombuffer(ids, dtype="<i8")
+                asked_of.append((ids, np.frombuffer(matrix, dtype="<i8").reshape(len(ids), -1), [[] for _ in ids], [0] * len(ids)))
+                continue
+            tree = MetricTree.load(matrix)
+            for q_ids, q, heaps, work in asked_of:
+                for n, (one, vector) in enumerate(zip(q_ids.tolist(), q)):
+                    work[n] += tree.search(one, vector, k, heaps[n])
+        yield out(asked_of)
 
     return run
 
 
-def top_products(queries: DataFrame, candidates: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", k: int = K, scale: int = SCALE) -> DataFrame:
-    """``query_id, rank, vec_id, score``: the k highest whole-number products for each query row."""
+def _found(queries: DataFrame, candidates: DataFrame, id_col: str, vec_col: str, k: int, scale: int, page: int, fanout: int, shard_rows: int) -> DataFrame:
     whole = lambda m: np.floor(scale * m).astype("<i8")
-    shards = blocks(usable(candidates, id_col, vec_col, True), SHARD_ROWS, whole)
-    index = stage(shards.mapInArrow(_index, "ids binary, matrix binary, width int"), "trees")
-    q = blocks(usable(queries, id_col, vec_col, True), QUERY_ROWS, whole)
-    return merged(tiles(q, index, LANES).mapInArrow(_search(k), "query_id bigint, vec_id bigint, score bigint"), k)
+    shards = blocks(usable(candidates, id_col, vec_col, True), shard_rows, whole)
+    index = shards.mapInArrow(tidied(_index(page, fanout)), BLOCK)
+    q = blocks(asked(usable(queries, id_col, vec_col, True)), QUERY_ROWS, whole)
+    return grid(q, index, SIDE_BLOCKS, LANE_BLOCKS).mapInArrow(tidied(_search(k)), "query_id bigint, vec_id bigint, score bigint, products bigint")
+
+
+def top_products(queries: DataFrame, candidates: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", k: int = K, scale: int = SCALE, page: int = PAGE, fanout: int = FANOUT, shard_rows: int = SHARD_ROWS) -> DataFrame:
+    """``query_id, rank, vec_id, score``: the k highest whole-number products for each query row."""
+    return merged(_found(queries, candidates, id_col, vec_col, k, scale, page, fanout, shard_rows), k)
+
+
+def products_computed(queries: DataFrame, candidates: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", k: int = K, scale: int = SCALE, page: int = PAGE, fanout: int = FANOUT, shard_rows: int = SHARD_ROWS) -> DataFrame:
+    """``query_id, products``: how many products a search computes for each query that finds anything, routing vectors included."""
+    return _found(queries, candidates, id_col, vec_col, k, scale, page, fanout, shard_rows).groupBy("query_id").agg(F.sum("products").alias("products"))

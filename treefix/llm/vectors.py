@@ -6,10 +6,14 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-BLOCK = "ids binary, matrix binary, width int"
+from treefix.llm.shared import stage
+
+BLOCK = "ids binary, matrix binary, width int, task int, turn int"
+CELL = ("width", "lane", "side")
 
 
 def usable(df: DataFrame, id_col: str, vec_col: str, allow_zero: bool) -> DataFrame:
@@ -27,18 +31,22 @@ def storage(df: DataFrame, vec_col: str) -> str:
 
 
 def blocks(vectors: DataFrame, rows: int, to: Callable[[np.ndarray], np.ndarray]) -> DataFrame:
-    """Rows packed by ``rows`` into (ids, matrix) blocks of one width each. Vectors of
+    """Rows packed by ``rows`` into (ids, matrix) blocks of one width each, numbered within their task. Vectors of
     different widths never share a block."""
 
-    def pack(ids: list, parts: list, width: int) -> pa.RecordBatch:
+    def pack(ids: list, parts: list, width: int, turn: int) -> pa.RecordBatch:
         matrix = to(np.concatenate(parts))
         return pa.RecordBatch.from_arrays(
-            [pa.array([np.concatenate(ids).astype("<i8").tobytes()], pa.binary()), pa.array([matrix.tobytes()], pa.binary()), pa.array([width], pa.int32())],
-            names=["ids", "matrix", "width"],
-        )
+            [
+                pa.array([np.concatenate(ids).astype("<i8").tobytes()], pa.binary()), pa.array([matrix.tobytes()], pa.binary()),
+                *(pa.array([x], pa.int32()) for x in (width, TaskContext.get().partitionId(), turn)),
+            ],
+            names=["ids", "matrix", "width", "task", "turn"],
+        )
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[int, tuple[list, list, int]] = {}
+        done = 0
         for batch in batches:
             ids = batch.column(0).to_numpy(zero_copy_only=False)
             column = batch.column(1)
@@ -55,21 +63,57 @@ def blocks(vectors: DataFrame, rows: int, to: Callable[[np.ndarray], np.ndarray]
                     n += len(i[-1])
                     held[int(width)] = (i, m, n)
                     if n >= rows:
-                        yield pack(i, m, int(width))
+                        yield pack(i, m, int(width), done)
+                        done += 1
                         del held[int(width)]
         for width, (i, m, _) in held.items():
-            yield pack(i, m, width)
+            yield pack(i, m, width, done)
+            done += 1
 
     return vectors.mapInArrow(run, BLOCK)
 
 
-def tiles(queries: DataFrame, candidates: DataFrame, lanes: int) -> DataFrame:
-    """Every query block with every candidate block of its width.
-
-    Candidate blocks are dealt to ``lanes``; each query block is sent to every lane once, and a lane
-    runs over its candidates. Within a lane the rows come sorted by query block, so that a task can keep
-    one block's results while it runs over the candidates."""
-    c = candidates.withColumn("lane", F.pmod(F.xxhash64("ids"), F.lit(lanes)).cast("int"))
-    q = queries.select(F.col("ids").alias("q_ids"), F.col("matrix").alias("q_matrix"), "width", F.explode(F.sequence(F.lit(0), F.lit(lanes - 1))).alias("lane"))
-    met = q.join(c, ["lane", "width"])
-    return met.repartition("lane", F.xxhash64("q_ids")).sortWithinPartitions("lane", F.xxhash64("q_ids"))
+def numbered(held: DataFrame) -> tuple[DataFrame, int]:
+    """Staged blocks with consecutive numbers, and how many there are. A count for each task that made them comes to the driver."""
+    counts = sorted((r["task"], r["count"]) for r in held.groupBy("task").count().collect())
+    bases, total = [], 0
+    for task, n in counts:
+        bases.append((task, total))
+        total += n
+    table = held.sparkSession.createDataFrame(bases, "task int, base long")
+    return held.join(F.broadcast(table), "task").withColumn("number", F.col("base") + F.col("turn")).drop("task", "turn", "base"), total
+
+
+def grid(queries: DataFrame, candidates: DataFrame, q_most: int, c_most: int) -> DataFrame:
+    """Every query block beside every candidate block of its width, by cells of a grid.
+
+    Candidate blocks are dealt to lanes and query blocks to sides, at most ``c_most`` and ``q_most`` to each; a cell gets the blocks of
+    its lane and of its side. So a block travels once for each side (or lane), not for each block that it meets, and a task holds
+    one cell's queries while candidates pass by. The rows of a cell come together, its queries (``kind`` 0) first."""
+    q, q_count = numbered(stage(queries, "query_blocks"))
+    c, c_count = numbered(stage(candidates, "blocks"))
+    lanes, sides = max(1, -(-c_count // c_most)), max(1, -(-q_count // q_most))
+    wanted = 2 * queries.sparkSession.sparkContext.defaultParallelism
+    while lanes * sides < wanted and (lanes < c_count or sides < q_count):  # small tables: a cell for each core at least
+        if lanes < c_count and (c_count / lanes >= q_count / sides or sides >= q_count):
+            lanes += 1
+        else:
+            sides += 1
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    left = q.select("width", every(lanes).alias("lane"), F.pmod("number", F.lit(sides)).cast("int").alias("side"), F.lit(0).alias("kind"), "number", "ids", "matrix")
+    right = c.select("width", F.pmod("number", F.lit(lanes)).cast("int").alias("lane"), every(sides).alias("side"), F.lit(1).alias("kind"), "number", "ids", "matrix")
+    met = left.unionByName(right).repartition(max(1, lanes * sides), *CELL)
+    return met.sortWithinPartitions(*CELL, "kind", "number")
+
+
+def cells(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[tuple[int, int, int], int, bytes, bytes]]:
+    """Rows of a task of ``grid``: (cell, kind, ids, matrix)."""
+    for batch in batches:
+        for i in range(batch.num_rows):
+            row = {n: batch.column(n)[i].as_py() for n in (*CELL, "kind", "ids", "matrix")}
+            yield tuple(row[n] for n in CELL), row["kind"], row["ids"], row["matrix"]
+
+
+def asked(queries: DataFrame) -> DataFrame:
+    """Of query rows that repeat an id the one with the least vector."""
+    return queries.groupBy("vec_id").agg(F.min("vec").alias("vec"))
