@@ -18,6 +18,7 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 WORD_BUDGET = 400_000  # words that a Python worker holds at once, besides one document
 
@@ -48,6 +49,8 @@ def work_dir(spark: SparkSession) -> str:
     held = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir()
     if held:
         return held.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
     own = f"/tmp/treefix-checkpoints-{uuid.uuid4().hex}"
     spark.sparkContext.setCheckpointDir(own)
     return own
@@ -143,6 +146,41 @@ def signed(x: np.ndarray) -> np.ndarray:
     return x.view(np.int64)
 
 
+#: A key is hot if it holds more than this share of the rows (and more than LEAST_HOT of them): at most so many keys are
+SHARE_OF_HOT, LEAST_HOT = 10_000, 256
+
+
+def hot_keys(rows: DataFrame, key: str) -> DataFrame | None:
+    """``key, many``: the keys that hold over a ten-thousandth of the rows, so at most ten thousand; None without any."""
+    counts = rows.groupBy(key).agg(F.count(F.lit(1)).alias("many"))
+    total = rows.count()
+    found = counts.where(F.col("many") > max(LEAST_HOT, total // SHARE_OF_HOT)).collect()
+    return rows.sparkSession.createDataFrame(found, counts.schema) if found else None
+
+
+def hot_join(rows: DataFrame, table: DataFrame, key: str, how: str = "inner", hot: DataFrame | None = None, known: bool = False) -> DataFrame:
+    """``rows`` joined with ``table`` (small rows, one for a key). Rows of hot keys stay where they are and
+    meet the table's rows of these keys, at most ten thousand, by broadcast; others meet by shuffle. ``known``: ``hot`` is given."""
+    if not known:
+        hot = hot_keys(rows, key)
+    if hot is None:
+        return rows.join(table, key, how)
+    names = F.broadcast(hot.select(key))
+    crowd = rows.join(names, key, "left_semi").join(F.broadcast(table.join(names, key, "left_semi")), key, how)
+    return crowd.unionByName(rows.join(names, key, "left_anti").join(table, key, how))
+
+
+def salted_join(rows: DataFrame, table: DataFrame, key: str, by: str, hot: DataFrame | None, each: int = 512) -> DataFrame:
+    """``rows`` joined with ``table`` (one row for a key, perhaps a large one): the rows of a key of ``hot`` are dealt by column
+    ``by``, about ``each`` together, and its row of the table is sent to each such part."""
+    if hot is None:
+        return rows.join(table, key)
+    parts = F.broadcast(hot.select(key, F.ceil(F.col("many") / each).cast("int").alias("parts_")))
+    dealt = rows.join(parts, key, "left").withColumn("salt_", F.coalesce(F.pmod(F.xxhash64(by), F.col("parts_")), F.lit(0)).cast("int")).drop("parts_")
+    sent = table.join(parts, key, "left").withColumn("salt_", F.explode(F.sequence(F.lit(0), F.coalesce(F.col("parts_"), F.lit(1)) - 1))).drop("parts_")
+    return dealt.join(sent, [key, "salt_"]).drop("salt_")
+
+
 def free_name(taken: list[str], wanted: str) -> str:
     """``wanted``, with underscores added until no column of ``taken`` has it."""
     low = {t.lower() for t in taken}

@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treefix.llm.shared import as_bytes, rows_of, stage, tidied
+from treefix.llm.shared import as_bytes, hot_join, hot_keys, rows_of, stage, tidied
 
 SHINGLE, RADIUS = 4, 4
 BLOCKS = ((0, 11), (11, 11), (22, 11), (33, 11), (44, 10), (54, 10))
@@ -209,22 +209,23 @@ def components(links: DataFrame, ids: DataFrame) -> DataFrame:
     """The smallest ``id`` reachable over ``links`` (``a``, ``b``) from every node
     that has a link. ``ids``: ``fp``, ``id``. Rounds of hooking to the smallest neighbour and
     of path halving; each is written out, so the plan stays small and a lost executor costs one round."""
-    both = links.union(links.select("b", "a")).toDF("a", "b")
-    start = both.join(ids, both["b"] == ids["fp"]).select("a", "b", F.col("id").alias("b_id"))
-    edges = stage(start.join(ids, start["a"] == ids["fp"]).select(F.col("id").alias("a"), F.col("b_id").alias("b")).distinct(), "links")
+    both = stage(links.union(links.select("b", "a")).toDF("a", "b"), "both")
+    named = ids.select(F.col("fp").alias("b"), F.col("id").alias("b_id"))
+    start = hot_join(both, named, "b").select("a", "b_id")
+    edges = stage(hot_join(start, ids.select(F.col("fp").alias("a"), F.col("id").alias("a_id")), "a").select(F.col("a_id").alias("a"), F.col("b_id").alias("b")).distinct(), "links")
+    hubs = hot_keys(edges, "b")
     label = stage(edges.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("label")), "label")
     while True:
-        seen = edges.join(label.select(F.col("a").alias("b"), F.col("label").alias("b_label")), "b")
+        seen = hot_join(edges, label.select(F.col("a").alias("b"), F.col("label").alias("b_label")), "b", hot=hubs, known=True)
         near = seen.groupBy("a").agg(F.min("b_label").alias("near"))
         hooked = label.join(near, "a").select("a", F.col("label").alias("old"), F.least("label", "near").alias("label"))
         # smaller labels also reach the node that was the label so far
         told = hooked.groupBy(F.col("old").alias("a")).agg(F.min("label").alias("told"))
-        lower = hooked.join(told, "a", "left").select("a", "old", F.least("label", "told").alias("label"))
+        lower = stage(hooked.join(told, "a", "left").select("a", "old", F.least("label", "told").alias("label")), "lower")
+        if lower.where("old <> label").isEmpty():
+            return lower.select("a", "label")
         up = lower.select(F.col("a").alias("label"), F.col("label").alias("further"))
-        nxt = stage(lower.join(up, "label", "left").select("a", "old", F.least("label", "further").alias("label")), "label")
-        if nxt.where("old <> label").isEmpty():
-            return nxt.select("a", "label")
-        label = nxt.select("a", "label")
+        label = stage(hot_join(lower, up, "label", "left").select("a", F.least("label", "further").alias("label")), "label")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
@@ -237,5 +238,5 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     found = components(fingerprint_links(classes, radius), ids)
     table = ids.join(found, ids["id"] == found["a"], "left").select("fp", F.coalesce("label", "id").alias("c"))
     component = table.select("fp", F.when(~F.col("c.none"), F.col("c.v")).alias("component_id"))
-    named = rows.join(component, "fp")
+    named = hot_join(rows, component, "fp")
     return named.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
