@@ -20,6 +20,8 @@ from pyspark.sql import functions as F
 
 NOT_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+MARK = "\x01"  # no word holds it
+FOUND = "struct<first:int,back:int,rank:int,rule:int,label:string,weight:double>"
 # Phrases that the base detection reports, with their labels
 BASE = (("gnu general public license", "gpl"), ("apache license", "apache"), ("cc by", "cc-by"), ("mit license", "mit"))
 # Any rule's text holds one of these, so a text without them is skipped
@@ -125,29 +127,25 @@ def detect_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     table = F.concat(F.array(*base_rows), table) if own else F.array(*base_rows)
     gated = F.filter(table, lambda r: F.contains(F.col("words"), r["keyword"]))
 
+    # each rule is tried once; only where it matches, its matches are marked in the text to find their words
+    tried = F.transform(gated, lambda r: F.struct(*[r[n].alias(n) for n in ("rule", "label", "priority", "weight", "pattern")], F.regexp_extract_all("words", r["pattern"], F.lit(0)).alias("hits")))
+    matched = F.filter(tried, lambda r: F.size(r["hits"]) > 0)
+
     def places(r: Column) -> Column:
-        """Word places of a rule's matches: the texts before and between them, and they, in words."""
-        hits = F.regexp_extract_all("words", r["pattern"], F.lit(0))
-        parts = F.split("words", r["pattern"], -1)
-        steps = F.transform(hits, lambda h, i: F.struct(_words_in(F.get(parts, i)).alias("before"), (_words_in(h) + 1).alias("size")))
-        # before counts the spaces, so the first part gives the place plus one and
-        # each later part the words between plus one
-        zero = F.struct(F.lit(0).alias("end"), F.array().cast("array<struct<first:int,end:int>>").alias("found"))
-
-        def one(acc: Column, s: Column) -> Column:
-            first = acc["end"] + s["before"] - 1
-            return F.struct((first + s["size"]).alias("end"), F.array_append(acc["found"], F.struct(first.alias("first"), (first + s["size"]).alias("end"))).alias("found"))
-
-        return F.aggregate(steps, zero, one, lambda acc: acc["found"])
-
-    tried = F.transform(gated, lambda r: F.struct(r["rule"].alias("rule"), r["label"].alias("label"), r["priority"].alias("priority"), r["weight"].alias("weight"), places(r).alias("places")))
-    hits = F.filter(tried, lambda r: F.size(r["places"]) > 0)
-    d = d.withColumn("hits", F.when(F.col("words").isNotNull(), hits))
-    flat = F.flatten(F.transform(F.coalesce("hits", F.array().cast("array<struct<rule:int,label:string,priority:int,weight:double,places:array<struct<first:int,end:int>>>>")), lambda h: F.transform(h["places"], lambda p: F.struct(p["first"].alias("first"), (-p["end"]).alias("back"), (-h["priority"]).alias("rank"), h["rule"].alias("rule"), h["label"].alias("label"), h["weight"].alias("weight")))))
+        """Detections of a rule: their first words, and they, in words."""
+        marked = F.split(F.trim(F.regexp_replace("words", r["pattern"], F.lit(MARK + "$0"))), " ")
+        numbered = F.transform(marked, lambda w, i: F.struct(F.startswith(w, F.lit(MARK)).alias("hit"), i.alias("first")))
+        both = F.arrays_zip(F.filter(numbered, lambda w: w["hit"]).alias("at"), r["hits"].alias("hit"))
+        first = lambda x: x["at"]["first"]
+        return F.transform(both, lambda x: F.struct(first(x).alias("first"), (-first(x) - _words_in(x["hit"]) - 1).alias("back"), (-r["priority"]).alias("rank"), r["rule"].alias("rule"), r["label"].alias("label"), r["weight"].alias("weight")))
+
+    none = F.array().cast(f"array<{FOUND}>")
+    flat = F.when(F.col("words").isNotNull(), F.flatten(F.transform(matched, places))).otherwise(none)
     d = d.select("doc_id", "n_words", F.array_sort(flat).alias("found"))
 
-    # sorted by start and falling end: a detection lies within an earlier one if that ends no sooner
-    start = F.struct(*[F.lit(0).alias(f"reach{p}") for p in (9, 3, 2, 1)], F.array().cast("array<struct<first:int,back:int,rank:int,rule:int,label:string,weight:double>>").alias("kept"))
+    # sorted by start and falling end: a detection lies within an earlier one if that ends no sooner. The fold writes a
+    # letter for each detection, which costs a byte to copy, not a row
+    start = F.struct(*[F.lit(0).alias(f"reach{p}") for p in (9, 3, 2, 1)], F.lit("").alias("kept"))
 
     def step(acc: Column, x: Column) -> Column:
         end, rank = -x["back"], -x["rank"]
@@ -155,9 +153,11 @@ def detect_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         for p in (9, 3, 2, 1):
             inside = inside | ((F.lit(p) >= rank) & (acc[f"reach{p}"] >= end))
         reach = [F.greatest(acc[f"reach{p}"], F.when(rank == p, end).otherwise(F.lit(0))).alias(f"reach{p}") for p in (9, 3, 2, 1)]
-        return F.struct(*reach, F.when(inside & (x["rule"] >= 0), acc["kept"]).otherwise(F.array_append(acc["kept"], x)).alias("kept"))
+        return F.struct(*reach, F.concat(acc["kept"], F.when(inside & (x["rule"] >= 0), "n").otherwise("y")).alias("kept"))
 
-    d = d.withColumn("kept", F.aggregate("found", start, step, lambda acc: acc["kept"]))
+    letters = F.split(F.aggregate("found", start, step, lambda acc: acc["kept"]), "")
+    both = F.arrays_zip(F.col("found").alias("x"), letters.alias("kept"))
+    d = d.withColumn("kept", F.transform(F.filter(both, lambda z: z["kept"] == "y"), lambda z: z["x"]))
     base = F.filter("kept", lambda x: x["rule"] < 0)
     d = d.withColumn("base", base)
     names = lambda c: F.array_join(F.array_sort(F.array_distinct(F.transform(c, lambda x: x["label"]))), ",")

@@ -32,7 +32,7 @@ from pyspark.sql import types as T
 
 from treefix.llm.shared import mixed, rows_of, tidied
 
-MODEL, SAMPLES, EXPONENT, OFFSET, CHARS = "piece_bpe_32k.model", 4, 2.0, 10.0, 1_000_000
+MODEL, SAMPLES, EXPONENT, OFFSET, CHARS = "piece_bpe_32k.model", 4, 2.0, 10.0, 500_000
 SPACE = "▁"
 MARK, OWN_MARK = ord(SPACE), 0x110000  # the second, beyond all characters, stands for a mark that is part of the text
 _STEP = np.uint64(0x9E3779B97F4A7C15)

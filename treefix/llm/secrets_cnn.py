@@ -7,7 +7,7 @@ character vectors with a mark for the candidate, one convolution, the largest re
 and anywhere, a logistic output. Where candidates that reach the threshold overlap, the one of highest score is reported. It is trained on labelled findings that a seeded
 generator writes (keys of known forms against hashes of files, paths, names, dates and versions), so
 a result depends on nothing but the text. Scores are calibrated by Platt scaling on findings set
-aside; the threshold is the highest that keeps ``RECALL`` of the true ones among them.
+aside; the threshold is the highest that keeps ``RECALL`` of the true ones among others set aside.
 Candidates at or above it are reported as ``learned``.
 
 Null and empty texts have no finding. Each input row gives one row, also when rows repeat.
@@ -236,8 +236,9 @@ def trained(n: int = 8000, epochs: int = 8, seed: int = 11) -> CharNet:
                 m += 0.1 * (g - m)
                 v += 0.001 * (g * g - v)
                 net.p[k] -= 0.01 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-8)
-    net.scale, net.shift = platt(net.logits(rows[cut:]), y[cut:], np.full(n - cut, 1 / (n - cut)))
-    net.threshold = float(min(0.9, np.quantile(net.probability(rows[cut:])[y[cut:] == 1], 1 - RECALL)))
+    mid = (cut + n) // 2  # one part to calibrate on, another for the threshold
+    net.scale, net.shift = platt(net.logits(rows[cut:mid]), y[cut:mid], np.full(mid - cut, 1 / (mid - cut)))
+    net.threshold = float(min(0.9, np.quantile(net.probability(rows[mid:])[y[mid:] == 1], 1 - RECALL)))
     return net
 
 
