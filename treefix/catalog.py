@@ -4,15 +4,18 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
+from functools import partial
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from treefix import sqlgen, workloads
 from treefix.evaluate import answers, by_plan, by_tree, tree_of
+from treefix.functions.values import json_facts, map_facts, register_bindings
 from treefix.operators import relational
 from treefix.plans.trees import JoinTree, hypertree_width
-from treefix.rules import Program, Rule, parse_program, parse_rule
+from treefix.rules import Module, Program, Rule, parse_program, parse_rule, split_by_width
 from treefix.session import Reasoner
 from treefix.sources import generators, tables
 from treefix.store import work_dir
@@ -124,7 +127,7 @@ _add("motivating_fixpoint_standard", lambda s, d: _example(s, "standard")[0].tab
 _add("rederive_example", _rederive_example, _EXAMPLE_SQL)
 
 
-def motivating_work(spark: SparkSession, sf_dir: str, n: int = 50, ks: tuple[int, ...] = (10, 30, 100)) -> DataFrame:
+def motivating_work(spark: SparkSession, sf_dir: str, n: int = 50, ks: tuple[int, ...] = (10, 100, 1000)) -> DataFrame:
     """Rows out of joins by plan and by tree as k grows: the square of k against k."""
     rows = []
     for k in ks:
@@ -175,13 +178,25 @@ _add("rule_widths", _widths)
 # --- whole rule sets and updates
 
 
-def _counts(spark: SparkSession, r: Reasoner, preds: list[str]) -> DataFrame:
-    """A row for each predicate; the numbers are those of the state's layers."""
-    return spark.createDataFrame([(p, r.state.facts[p].rows) for p in preds], "pred string, facts bigint")
+def _digests(spark: SparkSession, r: Reasoner, preds: list[str]) -> DataFrame:
+    """A row for each predicate: how many facts are stored, and a sum over hashes of their arguments, which holds what they are."""
+
+    def one(p: str) -> tuple[str, int, int]:
+        rows = r.table(p)
+        mark = F.conv(F.substring(F.md5(F.concat_ws("|", *[F.col(c).cast("string") for c in rows.columns])), 1, 8), 16, 10).cast("bigint")
+        return p, *rows.agg(F.count(F.lit(1)), F.coalesce(F.sum(mark), F.lit(0))).first()
+
+    with ThreadPoolExecutor(r.threads) as pool:
+        return spark.createDataFrame(list(pool.map(one, preds)), "pred string, facts bigint, digest bigint")
+
+
+def _digest_sql(pred: str, arity: int) -> str:
+    mark = f"CAST('0x' || substring(md5(concat_ws('|', {', '.join(f'CAST(a{n} AS VARCHAR)' for n in range(arity))})), 1, 8) AS BIGINT)"
+    return f"SELECT '{pred}' AS pred, CAST(count(*) AS BIGINT) AS facts, CAST(coalesce(sum({mark}), 0) AS BIGINT) AS digest FROM \"{pred}\""
 
 
 _SETS: dict[str, tuple[Program, list[str]]] = {}
-for _set, _program in {"simple": workloads.simple_rules(), "mixed": workloads.simple_rules() + Program(tuple(r for r in workloads.COMPLEX.rules if r.name not in workloads.HEAVY)), "shapes": workloads.SHAPES}.items():
+for _set, _program in {"simple": workloads.simple_rules(), "mixed": workloads.simple_rules() + workloads.COMPLEX, "shapes": workloads.SHAPES}.items():
     _SETS[_set] = _program, sorted(_program.derived)
 _CHARGE_ROWS = """lines_(d, price, disc, tax) AS (SELECT concat_ws('|', l_orderkey, l_partkey, l_suppkey, l_linenumber), min(CAST(round(l_extendedprice * 100) AS BIGINT)), min(CAST(round(l_discount * 100) AS BIGINT)), min(CAST(round(l_tax * 100) AS BIGINT)) FROM lineitem GROUP BY ALL)"""
 _CHARGE_RAW = {
@@ -196,7 +211,7 @@ _CHARGE_RAW = {
 
 
 def _update_sql(which: str, task: str) -> str:
-    """Counts after a task: the same rules over the explicit facts that are left."""
+    """Facts after a task: the same rules over the explicit facts that are left."""
     if which == "expr":
         program, preds, head = workloads.EXPRESSIONS, ["Val"], [_CHARGE_ROWS]
         raw = {p: (c, t) for p, (c, t) in _CHARGE_RAW.items()}
@@ -227,18 +242,22 @@ def _update_sql(which: str, task: str) -> str:
     extra = {p: "" for p in raw}
     ctes = sqlgen.program_ctes(program, seeds=seeds, extra={**extra, "": ",\n".join(parts)})
     ctes = ctes.replace("WITH RECURSIVE " + ",\n" * len(extra), "WITH RECURSIVE ")
-    return f"{ctes}\n" + " UNION ALL ".join(f"SELECT '{p}' AS pred, CAST(count(*) AS BIGINT) AS facts FROM \"{p}\"" for p in preds)
+    return f"{ctes}\n" + " UNION ALL ".join(_digest_sql(p, program.preds[p]) for p in preds)
 
 
-for _set in ("simple", "mixed", "shapes", "expr"):
-    for _task in workloads.TASKS:
+def _after_task(spark: SparkSession, sf_dir: str, which: str, task: str, **options) -> DataFrame:
+    r, _ = workloads.run_task(spark, sf_dir, "charge" if which == "expr" else which, task, **options)
+    return _digests(spark, r, ["Val"] if which == "expr" else _SETS[which][1])
 
-        def _task_counts(spark: SparkSession, sf_dir: str, which: str = _set, task: str = _task) -> DataFrame:
-            r, _ = workloads.run_task(spark, sf_dir, "charge" if which == "expr" else which, task)
-            return _counts(spark, r, ["Val"] if which == "expr" else _SETS[which][1])
 
-        _title = f"{_set}_set_counts" if _task == "materialise" else f"update_{_task}_{_set}"
-        _add(_title, _task_counts, _update_sql(_set, _task))
+for _set in ("simple", "mixed", "shapes", "expr"):
+    for _task in workloads.TASKS:
+        for _engine in ("combined", "standard", "tree"):
+            _title = f"{_set}_set_counts" if _task == "materialise" else f"update_{_task}_{_set}"
+            _add(_title if _engine == "combined" else f"{_title}_{_engine}", partial(_after_task, which=_set, task=_task, engine=_engine), _update_sql(_set, _task))
+for _task in ("small_delete", "large_delete"):  # suspects are rederived by asking the facts again
+    for _engine in ("standard", "tree"):
+        _add(f"update_{_task}_shapes_{_engine}_query_oracle", partial(_after_task, which="shapes", task=_task, engine=_engine, oracle="query"), _update_sql("shapes", _task))
 
 
 def _stats(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -254,12 +273,37 @@ def _stats(spark: SparkSession, sf_dir: str) -> DataFrame:
 _add("stats_table", _stats)
 
 
-def _space(spark: SparkSession, sf_dir: str) -> DataFrame:
-    r, _ = workloads.run_task(spark, sf_dir, "shapes", "materialise", "tree")
+def _space(spark: SparkSession, sf_dir: str, **options) -> DataFrame:
+    r, _ = workloads.run_task(spark, sf_dir, "shapes", "materialise", "tree", **options)
     return r.space()
 
 
 _add("space_overhead", _space)
+_add("space_overhead_lean", partial(_space, storage="lean"))
+
+# --- other ways to keep the same state
+
+for _task in ("small_delete", "large_delete"):  # shapes without recursion: the last derivation that goes takes a fact along
+    _FLAT = Program(tuple(r for r in workloads.SHAPES.rules if r.name not in _RECURSIVE))
+    _SETS["flat"] = _FLAT, sorted(_FLAT.derived)
+    _add(f"counting_{_task}", partial(_after_task, which="flat", task=_task, engine="standard", deletion="counting"), _update_sql("flat", _task))
+for _task in workloads.TASKS:
+    _add(f"lean_{_task}", partial(_after_task, which="shapes", task=_task, engine="tree", storage="lean"), _update_sql("shapes", _task))
+
+
+def _modules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Simple rules by plan and cyclic ones by tree, as two modules of one program."""
+    program = workloads.simple_rules() + Program((_C["C02"], _C["C15"]))
+    simple, cyclic = split_by_width(program)
+    r = Reasoner(spark, engine="standard").module(Module(simple, "standard")).module(Module(cyclic, "tree"))
+    for p, df in workloads.inputs(spark, sf_dir, program).items():
+        r.facts(p, df)
+    r.materialise()
+    return _digests(spark, r, sorted(program.derived))
+
+
+_MODULES = workloads.simple_rules() + Program((_C["C02"], _C["C15"]))
+_add("modules", _modules, f"{sqlgen.program_ctes(_MODULES)}\n" + " UNION ALL ".join(_digest_sql(p, _MODULES.preds[p]) for p in sorted(_MODULES.derived)))
 
 # --- expressions
 
@@ -274,13 +318,9 @@ def _charge(spark: SparkSession, sf_dir: str) -> DataFrame:
 _add("expr_charge", _charge, f"WITH {_CHARGE_ROWS} SELECT d, price * (100 - disc) * (100 + tax) AS v FROM lines_")
 
 
-#: Trees, and rows for each, of the generated expressions
-GENERATED = 300
-
-
 def _generated(spark: SparkSession, sf_dir: str) -> DataFrame:
     line, part = (tables.read(spark, sf_dir, t) for t in ("lineitem", "part"))
-    facts, roots = generators.generated(line, part, GENERATED, GENERATED)
+    facts, roots = generators.generated(line, part, workloads.GENERATED, workloads.GENERATED)
     r = Reasoner(spark)
     workloads.load(r, workloads.Workload(workloads.EXPRESSIONS, facts)).materialise()
     return r.table("Val").toDF("e", "d", "v").join(roots, "e", "left_semi")
@@ -289,7 +329,7 @@ def _generated(spark: SparkSession, sf_dir: str) -> DataFrame:
 _LEAF = "[q, n, z][p % 3 + 1] + t % 3"
 
 
-def _generated_sql(depth: int = 5, n: int = GENERATED) -> str:
+def _generated_sql(depth: int = 5, n: int = workloads.GENERATED) -> str:
     """The value of each tree by levels from the leaves up: a place's value is that of its operator over its children's."""
     lines = f"""chosen(d, q, n, z) AS (SELECT {_LINE_ID} AS d, CAST(min(l_quantity) AS BIGINT) % 10, CAST(min(l_linenumber) AS BIGINT) % 10, CAST(min(p_size) AS BIGINT) % 10 FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1 ORDER BY md5(d), d LIMIT {n})"""
     parts = [lines, f"shape(t, levels) AS (SELECT i, i % {depth - 1} + 1 FROM range(0, {n}) r(i))"]
@@ -356,6 +396,35 @@ def _why(spark: SparkSession, sf_dir: str) -> DataFrame:
     return r.why("CustomerRegion", r.table("CustomerRegion")).groupBy("rule").count()
 
 
+def _bindings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The values of each variable in the proofs of local sales, through a table function."""
+    r = _trade(spark, sf_dir)
+    register_bindings(spark)
+    r.why("LocalBuy", r.table("LocalBuy")).createOrReplaceTempView("treefix_proofs")
+    return spark.sql("SELECT variable, count(*) AS n, count(DISTINCT value) AS n_values FROM treefix_proofs, LATERAL bindings_of(bindings) GROUP BY variable")
+
+
+_LOCAL = parse_rule("Bound(c, o, p, s, n) <- Placed(c, o), Line(o, p, s), LivesIn(c, n), BasedIn(s, n)")
+_BOUND = f"{sqlgen.program_ctes(Program((_LOCAL,)))} SELECT * FROM (" + " UNION ALL ".join(f"SELECT '{v}' AS variable, CAST(count(*) AS BIGINT) AS n, CAST(count(DISTINCT a{n}) AS BIGINT) AS n_values FROM \"Bound\"" for n, v in enumerate("copsn")) + ") WHERE n > 0"
+_add("udtf_bindings", _bindings, _BOUND)
+_add("json_facts", lambda s, d: json_facts(tables.read(s, d, "events"), "event_id", "props"), "SELECT CAST(event_id AS BIGINT) AS k, 'k' AS name, regexp_extract(props, '^\\{\"k\": ([0-9]+)\\}$', 1) AS value FROM events")
+_add(
+    "map_facts",
+    lambda s, d: map_facts(tables.read(s, d, "events").groupBy(F.col("user_id").alias("u"), "event_type").count().groupBy("u").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "count"))).alias("m")), "u", "m"),
+    "SELECT user_id AS u, event_type AS name, CAST(count(*) AS BIGINT) AS value FROM events GROUP BY ALL",
+)
+
+
+def _recursive_sql(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A control: the thread closure by Spark's own recursive query, which follows one chain a step and keeps no state.
+    Chains are paths, so no fact is reached twice."""
+    tables.TABLES["NextTurn"](spark, sf_dir).distinct().createOrReplaceTempView("treefix_next_turn")
+    return spark.sql(
+        "WITH RECURSIVE after(k, x, y) AS (SELECT k, x, y FROM treefix_next_turn UNION ALL SELECT a.k, a.x, n.y FROM after a JOIN treefix_next_turn n ON a.k = n.k AND a.y = n.x) SELECT k, x, y FROM after"
+    )
+
+
+_add("recursive_sql_closure", _recursive_sql, _THREAD_SQL)
 _add("proofs_of_facts", _why, f"{_TRADE_CTES}\nSELECT 'cr' AS rule, CAST(count(*) AS BIGINT) AS count FROM \"CustomerRegion\"")
 
 

@@ -10,8 +10,8 @@ from treefix.engines.context import COLUMNS, Round
 from treefix.operators.bodies import counted, delta_joins, join_atoms
 from treefix.operators.scan import project_head
 from treefix.plans.stats import Stats, greedy_order
-from treefix.rules import Rule
-from treefix.store import COUNT, semi
+from treefix.rules import Atom, Compare, Const, Rule, Var
+from treefix.store import COUNT
 
 
 @dataclass
@@ -62,26 +62,27 @@ class PlanRule:
         return None
 
     def instances(self, here: Round, heads: DataFrame | None, keep: list[str] | None = None) -> DataFrame | None:
-        """Bindings over all facts whose heads are among ``heads``; the restriction is joined first."""
+        """Bindings over all facts whose heads are among ``heads`` (distinct). These are joined first, as an atom with the head's
+        terms, so the body is evaluated for them alone; a head value that the rule computes is compared at the end."""
         atoms = list(self.rule.body)
         frames = [here.slice(a.pred, "full") for a in atoms]
         if any(f is None for f in frames):
             return None
-        order = greedy_order(atoms, None, here.stats)
-        rows = join_atoms(atoms, frames, order, keep or self.rule.vars, self.rule.builtins)
-        if heads is None:
-            return rows
-        named = project_head(self.rule, rows, self.names, None)
-        if keep is None:
-            from pyspark.sql import functions as F
-
-            from treefix.rules import Const
-
-            terms = [(F.lit(t.value) if isinstance(t, Const) else F.col(t.name)).alias(f"h_{c}") for t, c in zip(self.rule.head.terms, self.names)]
-            return rows.select(*rows.columns, *terms).join(heads.toDF(*[f"h_{c}" for c in self.names]), [f"h_{c}" for c in self.names], "left_semi").select(*rows.columns) if terms else rows
-        return semi(named, heads, self.names)
+        builtins, wanted = self.rule.builtins, keep or list(self.rule.vars)
+        if heads is None or not self.rule.head.terms:
+            return join_atoms(atoms, frames, greedy_order(atoms, None, here.stats), wanted, builtins)
+        terms = []
+        for n, t in enumerate(self.rule.head.terms):
+            if isinstance(t, Const) or t.name in self.rule.vars:
+                terms.append(t)
+            else:
+                terms.append(Var(f"given{n}_"))
+                builtins = (*builtins, Compare(f"given{n}_ = {t.name}", (f"given{n}_", t.name)))
+        atoms, frames = [Atom("given_", tuple(terms)), *atoms], [heads, *frames]
+        rows = join_atoms(atoms, frames, greedy_order(atoms, 0, here.stats), wanted, builtins)
+        return rows.select(*[c for c in rows.columns if c in wanted])
 
     def supported(self, here: Round, heads: DataFrame) -> DataFrame | None:
         """Those of ``heads`` that the rule derives in one step: the query form of the oracle."""
-        rows = self.instances(here, heads, list(self.rule.head.vars))
-        return None if rows is None else rows.distinct()
+        rows = self.instances(here, heads, list(dict.fromkeys(self.rule.head.vars)))
+        return None if rows is None else project_head(self.rule, rows, self.names, None).distinct()

@@ -8,6 +8,7 @@ tells later whether another remains.
 from __future__ import annotations
 
 from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
@@ -15,10 +16,10 @@ from pyspark.sql import functions as F
 
 from treefix.engines.context import COLUMNS, Round, marked, union
 from treefix.operators.bodies import counted, delta_joins, join_atoms
-from treefix.operators.reducer import head_rows, label_add, label_delete, live, use_pivot_sweep
+from treefix.operators.reducer import head_rows, label_add, label_delete, live, live_rows, use_pivot_sweep
 from treefix.plans.stats import greedy_order
 from treefix.plans.trees import JoinTree
-from treefix.rules import Atom, Compare, Rule
+from treefix.rules import Atom, Compare, Rule, Var
 from treefix.store import COUNT, FRESH, Layer, Table, semi
 
 
@@ -40,6 +41,7 @@ class TreeRule:
     pivot_sweep: str = "auto"
     labels: Callable[[int, int], str] = label_add
     bags: list[Bag] = field(default_factory=list)
+    lean: bool = False
 
     def __post_init__(self):
         if not self.bags:
@@ -49,6 +51,22 @@ class TreeRule:
     def names(self) -> list[str]:
         return [c for c, _ in self.columns]
 
+    def borrowed(self, node: int) -> Atom | None:
+        """The atom whose facts are a lean node's rows: its only one, none of whose variables the bag leaves out. Such a row has
+        one binding, so it needs no ledger and never comes back while its fact is gone."""
+        atoms = self.atoms(node)
+        return atoms[0] if self.lean and len(atoms) == 1 and atoms[0].vars and set(atoms[0].vars) == self.tree.bag[node] else None
+
+    @property
+    def kept(self) -> list[int]:
+        """Nodes with rows of their own."""
+        return [p for p in self.tree.nodes if self.borrowed(p) is None]
+
+    def _scan(self, node: int, here: Round, which: str) -> DataFrame | None:
+        atom = self.borrowed(node)
+        frame = here.slice(atom.pred, which)
+        return None if frame is None else join_atoms([atom], [frame], [0], self.vars(node), self._builtins(node)).select(*self.vars(node))
+
     def vars(self, node: int) -> list[str]:
         return sorted(self.tree.bag[node])
 
@@ -61,16 +79,16 @@ class TreeRule:
         return tuple(b for b in self.rule.builtins if isinstance(b, Compare) and set(b.vars) <= inner)
 
     def fill(self, node: int, here: Round, within: DataFrame | None = None) -> DataFrame | None:
-        """All rows of a bag with their numbers of bindings."""
+        """All rows of a bag (or those among ``within``, which are distinct) with their numbers of bindings."""
         atoms = self.atoms(node)
         frames = [here.slice(a.pred, "full") for a in atoms]
         if any(f is None for f in frames):
             return None
-        rows = join_atoms(atoms, frames, greedy_order(atoms, None, here.stats), self.vars(node), self._builtins(node), here.watch(self.rule.name))
-        rows = self._flagless(rows, node)
-        if within is not None:
-            rows = semi(rows, within, self.bags[node].rows.names)
-        return counted(rows, self.bags[node].rows.names, COUNT)
+        if within is not None and self.tree.bag[node]:  # the wanted rows first, as an atom of their own
+            atoms, frames = [Atom("within_", tuple(map(Var, self.vars(node)))), *atoms], [within.select(*self.vars(node)), *frames]
+        order = greedy_order(atoms, None if within is None else 0, here.stats)
+        rows = join_atoms(atoms, frames, order, self.vars(node), self._builtins(node), here.watch(self.rule.name))
+        return counted(self._flagless(rows, node), self.bags[node].rows.names, COUNT)
 
     def _flagless(self, rows: DataFrame, node: int) -> DataFrame:
         return rows.select(*self.vars(node)) if self.tree.bag[node] else rows.select(F.lit(True).alias("any_"))
@@ -87,9 +105,14 @@ class TreeRule:
         rows = self.bags[node].rows
         return here.store.read(rows) if rows.rows > 0 else None
 
-    def _passes(self, here: Round, changes: list[tuple[DataFrame | None, int]], label: Callable[[int, int], str]) -> DataFrame | None:
-        """The union over pivots: a pass for each node that has changed rows."""
-        stored = [self._stored(p, here) for p in self.tree.nodes]
+    def _passes(self, here: Round, changes: list[tuple[DataFrame | None, int]], label: Callable[[int, int], str], base: str = "full") -> DataFrame | None:
+        """The union over pivots: a pass for each node that has changed rows. ``base``: the slice that lean nodes' stored rows are."""
+        stored, held = [], []
+        for p in self.tree.nodes:
+            atom = self.borrowed(p)
+            stored.append(self._stored(p, here) if atom is None else self._scan(p, here, base))
+            table = None if atom is None else (here.old if base == "old" else here.full).get(atom.pred)
+            held.append(self.bags[p].rows.rows if atom is None else max(table.rows, 0) if table else 0)
         found = []
         for pivot in self.tree.nodes:
             if not changes[pivot][1]:
@@ -98,9 +121,10 @@ class TreeRule:
             for p in self.tree.nodes:
                 which, (change, rows) = label(pivot, p), changes[p]
                 frames.append(live(which, self.bags[p].rows.names, stored[p], change if rows else None))
-                sizes.append(rows if p == pivot else self.bags[p].rows.rows + rows)
+                sizes.append(live_rows(which, held[p], rows))
             if all(f is not None for f in frames):
-                start = pivot if use_pivot_sweep(sizes, pivot, self.pivot_sweep) else None
+                small = len(sizes) > 2 or self.pivot_sweep != "auto"  # two nodes meet in one join anyway
+                start = pivot if small and use_pivot_sweep(sizes, pivot, self.pivot_sweep) else None
                 found.append(head_rows(self.tree, frames, self.rule, self.names, start, here.counts, here.watch(self.rule.name)))
         return union(found)
 
@@ -115,22 +139,30 @@ class TreeRule:
         bag = self.bags[node].rows
         return here.store.part(bag.columns, path).where(F.col(FRESH)).select(*bag.names)
 
+    def _written(self, here: Round, losing: bool, what: str) -> tuple[list[tuple[DataFrame | None, int]], list[str | None]]:
+        """For each node its changed rows, how many they are, and the part that holds them; nodes are written side by side."""
+
+        def one(p: int) -> tuple[tuple[DataFrame | None, int], str | None]:
+            if (atom := self.borrowed(p)) is not None:
+                table = here.delta.get(atom.pred)
+                return ((self._scan(p, here, "delta"), table.rows) if table and table.rows > 0 else (None, 0)), None
+            rows = self._changed(p, here)
+            if rows is None:
+                return (None, 0), None
+            rows = self._marked(here, p, rows, losing)
+            path, fresh, _ = self._write(here, p, rows.withColumn(COUNT, -F.col(COUNT)) if losing else rows, what)
+            return (self._fresh(here, p, path), fresh), path
+
+        with ThreadPoolExecutor(max(1, len(self.tree.nodes))) as pool:
+            found = list(pool.map(one, self.tree.nodes))
+        return [c for c, _ in found], [path for _, path in found]
+
     def add(self, here: Round) -> DataFrame | None:
         """Consequences of added facts: gains of the bags, a pass for each, then the gains are stored."""
         if not here.touches(self.rule):
             return None
-        changes: list[tuple[DataFrame | None, int]] = []
-        paths: list[str | None] = []
-        for p in self.tree.nodes:
-            rows = self._changed(p, here)
-            if rows is None:
-                changes.append((None, 0))
-                paths.append(None)
-                continue
-            path, fresh, _ = self._write(here, p, self._marked(here, p, rows, False), "gain")
-            paths.append(path)
-            changes.append((self._fresh(here, p, path), fresh))
-        heads = self._passes(here, changes, self.labels)
+        changes, paths = self._written(here, False, "gain")
+        heads = self._passes(here, changes, self.labels, "old")
         for p in self.tree.nodes:
             if paths[p]:
                 self.bags[p].ledger += (paths[p],)
@@ -141,17 +173,7 @@ class TreeRule:
         """Consequences that lost facts touch: losses of the bags become suspects, a pass for each, then they leave."""
         if not here.touches(self.rule):
             return None
-        changes, paths = [], []
-        for p in self.tree.nodes:
-            rows = self._changed(p, here)
-            if rows is None:
-                changes.append((None, 0))
-                paths.append(None)
-                continue
-            lost = self._marked(here, p, rows, True).withColumn(COUNT, -F.col(COUNT))
-            path, present, _ = self._write(here, p, lost, "loss")
-            paths.append(path)
-            changes.append((self._fresh(here, p, path), present))
+        changes, paths = self._written(here, True, "loss")
         heads = self._passes(here, changes, label_delete)
         for p in self.tree.nodes:
             if paths[p]:

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+import json
+from collections.abc import Callable, Iterator
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -31,3 +32,27 @@ def encoded(df: DataFrame, column: str, dictionary: DataFrame | None = None) ->
     ids = new.join(F.broadcast(sizes.select("range", "before")), "range").join(F.broadcast(base)).select("term", (F.col("base") + F.col("before") + rank).cast("bigint").alias("id"))
     full = held.unionByName(ids)
     return df.join(full.withColumnRenamed("term", column), column, "left").drop(column).withColumnRenamed("id", column), full
+
+
+class Bindings:
+    """Rows (variable, value) of bindings as ``Reasoner.why`` gives them, in JSON."""
+
+    def eval(self, bindings: str) -> Iterator[tuple[str, str]]:
+        for name, value in sorted(json.loads(bindings).items()):
+            yield name, str(value)
+
+
+def register_bindings(spark: SparkSession, name: str = "bindings_of") -> None:
+    """The table function behind ``SELECT ... FROM proofs, LATERAL bindings_of(bindings)``."""
+    spark.udtf.register(name, F.udtf(Bindings, returnType="variable string, value string"))
+
+
+def json_facts(df: DataFrame, key: str, text: str) -> DataFrame:
+    """(key, name, value) for each entry of a flat JSON object; malformed objects have none."""
+    held = F.from_json(F.col(text), "map<string,string>")
+    return df.select(F.col(key).cast("bigint").alias("k"), F.explode(held).alias("name", "value"))
+
+
+def map_facts(df: DataFrame, key: str, column: str) -> DataFrame:
+    """(key, name, value) for each entry of a map column: a map itself can't be an argument."""
+    return df.select(key, F.explode(column).alias("name", "value"))

@@ -43,6 +43,11 @@ def live(label: str, keys: list[str], stored: DataFrame | None, change: DataFram
     return None if stored is None else minus(stored, change, keys)
 
 
+def live_rows(label: str, stored: int, change: int) -> int:
+    """How many rows the cases have. A gain isn't stored yet, a loss still is."""
+    return {GAIN: change, LOSS: change, STORED: stored, WITH_GAIN: stored + change, WITHOUT_LOSS: stored - change}[label]
+
+
 def use_pivot_sweep(rows: list[int], pivot: int, mode: str = "auto", ratio: int = PIVOT_RATIO) -> bool:
     """The extra sweep pays if the pivot has over ``ratio`` times fewer rows than the largest node."""
     if mode != "auto":
@@ -106,5 +111,7 @@ def join_up(tree: JoinTree, frames: list[DataFrame], rule: Rule, counts: bool, w
 
 
 def head_rows(tree: JoinTree, frames: list[DataFrame], rule: Rule, columns: list[str], pivot: int | None, counts: bool, watch=None) -> DataFrame:
-    """One pass of cross-node evaluation: reduce, join up, project to the head."""
-    return project_head(rule, join_up(tree, reduce_tree(tree, frames, pivot), rule, counts, watch), columns)
+    """One pass of cross-node evaluation: reduce, join up, project to the head. Two nodes meet in one join, whose rows are
+    the same whether the nodes are reduced before or not, so without a sweep from the pivot they aren't."""
+    reduced = frames if pivot is None and len(frames) <= 2 else reduce_tree(tree, frames, pivot)
+    return project_head(rule, join_up(tree, reduced, rule, counts, watch), columns)

@@ -25,7 +25,7 @@ from treefix.engines.tree import TreeRule
 from treefix.operators.reducer import label_add
 from treefix.plans.stats import Stats, best_tree, collect, tree_cost
 from treefix.plans.trees import JoinTree, check_tree, complete_tree, structural_tree, trivial_tree
-from treefix.rules import Program, RuleError, Rule, Schemas, is_acyclic, parse_program, split_by_width, stratify
+from treefix.rules import Module, Program, RuleError, Rule, Schemas, is_acyclic, is_recursive, parse_program, split_by_width, stratify
 from treefix.store import COUNT, FRESH, Layer, Store, Table, minus, semi, work_dir
 
 ENGINES = ("combined", "standard", "tree", "naive", "tree-naive")
@@ -68,16 +68,23 @@ class State:
 
 class Reasoner:
     """``oracle``: ``count`` keeps numbers of derivations, ``query`` asks again. ``order``: of plans, ``greedy`` or ``written``.
-    ``tree_choice``: ``cost``, ``width`` or ``trivial``. ``pivot_sweep``: ``auto``, ``always``, ``never``. ``measure``: watch join outputs."""
+    ``tree_choice``: ``cost``, ``width`` or ``trivial``. ``pivot_sweep``: ``auto``, ``always``, ``never``. ``measure``: watch join outputs. ``storage``: ``lean`` keeps no bag that a stored
+    predicate already holds. ``deletion``: ``counting`` takes a fact when its last derivation goes, for programs without recursion."""
 
-    def __init__(self, spark: SparkSession, path: str | None = None, engine: str = "combined", oracle: str = "count", order: str = "greedy", tree_choice: str = "cost", pivot_sweep: str = "auto", max_rounds: int = 10_000, measure: bool = False, labels=label_add, threads: int = 8):
+    def __init__(self, spark: SparkSession, path: str | None = None, engine: str = "combined", oracle: str = "count", order: str = "greedy", tree_choice: str = "cost", pivot_sweep: str = "auto", max_rounds: int = 10_000, measure: bool = False, labels=label_add, threads: int = 8, storage: str = "full", deletion: str = "rederive"):
         if engine not in ENGINES:
             raise ValueError(f"engine must be one of {', '.join(ENGINES)}")
         self.spark, self.engine, self.counts, self.order = spark, engine, oracle == "count", order
         self.tree_choice, self.pivot_sweep, self.max_rounds, self.measure, self.labels, self.threads = tree_choice, pivot_sweep, max_rounds, measure, labels, threads
+        if storage not in ("full", "lean") or deletion not in ("rederive", "counting"):
+            raise ValueError("storage is full or lean, deletion is rederive or counting")
+        if deletion == "counting" and (engine != "standard" or not self.counts):
+            raise ValueError("deletion by counts needs the standard engine with counts")
+        self.storage, self.deletion = storage, deletion
         self.store = Store(spark, path or f"{work_dir(spark)}/treefix/{uuid.uuid4().hex}")
         self.program, self.schemas, self.stats_, self.state = Program(()), Schemas(), Stats(), State()
         self.trees: dict[str, JoinTree] = {}
+        self.engine_of: dict[str, object] = {}
         self.pending: dict[str, list[DataFrame]] = defaultdict(list)
         self.dropped_nulls: dict[str, int] = {}
         self.runs: list[RunReport] = []
@@ -110,6 +117,13 @@ class Reasoner:
         self.program = self.program + more
         return self
 
+    def module(self, module: Module) -> Reasoner:
+        """Rules with an engine of their own; those of other modules, and rules given without, share the fixpoint loop with them."""
+        if isinstance(module.engine, str) and module.engine not in ("combined", "standard", "tree"):
+            raise ValueError("a module's engine must be combined, standard, tree or a function")
+        self.engine_of |= {r.name: module.engine for r in module.rules.rules}
+        return self.rules(module.rules)
+
     def with_tree(self, name: str, tree: JoinTree) -> Reasoner:
         """A tree of the user's for a rule; it must meet all conditions."""
         rule = self._rule(name)
@@ -155,15 +169,19 @@ class Reasoner:
         self.tree_seconds += time.perf_counter() - began
 
     def _engine(self, rule: Rule) -> PlanRule | TreeRule:
-        columns = self.columns(rule.head.pred)
-        tree_wanted = self.engine in ("tree", "tree-naive") or rule.name in self.trees or self.engine == "combined" and not is_acyclic(rule)
-        if not tree_wanted or self.engine in ("standard", "naive"):
+        columns, engine = self.columns(rule.head.pred), self.engine_of.get(rule.name, self.engine)
+        if callable(engine):
+            return engine(rule, columns)
+        tree_wanted = engine in ("tree", "tree-naive") or rule.name in self.trees or engine == "combined" and not is_acyclic(rule)
+        if not tree_wanted or engine in ("standard", "naive"):
             return PlanRule(rule, columns, self.order)
         if rule.name not in self.trees:
             choose = {"cost": lambda: best_tree(rule, self.stats_), "width": lambda: structural_tree(rule), "trivial": lambda: trivial_tree(rule)}
             self.trees[rule.name] = choose[self.tree_choice]()
+        if self.storage == "lean" and len(self.trees[rule.name].nodes) == 1:  # its one bag would hold all bindings
+            return PlanRule(rule, columns, self.order)
         types = {t.name: k for a in rule.body for t, k in zip(a.terms, self.schemas.types[a.pred]) if hasattr(t, "name")}
-        return TreeRule(rule, columns, self.trees[rule.name], types, self.pivot_sweep, self.labels)
+        return TreeRule(rule, columns, self.trees[rule.name], types, self.pivot_sweep, self.labels, lean=self.storage == "lean")
 
     # --- rounds
 
@@ -237,11 +255,14 @@ class Reasoner:
             left = {**state.facts, **after}
             known = {p: left[p] for p in heads}
             written = self._commit(state, heads, known, True, -1, f"del{n}")
-            for p, x in lost.items():
-                gone[p].append(x.path)
+            if self.deletion == "rederive":
+                for p, x in lost.items():
+                    gone[p].append(x.path)
             state.facts.update(after)
             lost = {}
             for p, (path, fresh, _) in written.items():
+                if fresh and self.deletion == "counting":
+                    path, fresh = self._without_support(state, p, path)
                 if fresh:  # as a deletion the part's other rows take nothing: they aren't there any more
                     lost[p] = Layer("add", path, fresh)
             report.history += [("delete", n, p, rows, fresh) for p, (_, fresh, rows) in sorted(written.items())]
@@ -249,6 +270,18 @@ class Reasoner:
         report.rounds += n
         return gone
 
+    def _without_support(self, state: State, pred: str, path: str) -> tuple[str, int]:
+        """Of a part's facts those whose last derivation is gone and that aren't explicit, as a part of their own."""
+        names = [c for c, _ in self.columns(pred)]
+        touched = self.store.part(self.columns(pred), path).where(F.col(FRESH)).select(*names)
+        held = semi(self.store.part(self.columns(pred), *state.ledger[pred]), touched, names)
+        left = held.groupBy(*names).agg(F.sum(COUNT).alias(COUNT)).where(F.col(COUNT) > 0)
+        rows = minus(touched, left, names)
+        if state.explicit[pred].rows > 0:
+            rows = minus(rows, self.store.read(state.explicit[pred]), names)
+        path, fresh, _ = self.store.put(rows, self.columns(pred), f"{pred}-unsupported")
+        return path, fresh
+
     def _rederive(self, state: State, gone: dict[str, list[str]], report: RunReport) -> dict[str, DataFrame]:
         """Overdeleted facts that still have a derivation or are explicit."""
         here = self._round(state, {}, {}, report)
@@ -304,11 +337,16 @@ class Reasoner:
         state = copy.deepcopy(self.state)
         report.tree_seconds = self.tree_seconds - before
         lost = {p: x for p, x in minus_.items() if x.rows}
+        if lost and self.deletion == "counting" and any(is_recursive(layer) for layer in stratify(self.program)):
+            raise RuleError("deletion by counts is right only without recursion: a cycle of facts would support itself")
         for p, x in lost.items():
             state.explicit[p] = state.explicit[p].plus(Layer("del", x.path, x.rows))
         if self.engine in ("naive", "tree-naive"):
             self._recompute(state, plus, lost, report)
         else:
+            if self.deletion == "counting":  # an explicit fact that has a derivation stays a fact
+                held = {p: self._without_support(state, p, x.path) for p, x in lost.items()}
+                lost = {p: Layer("add", path, fresh) for p, (path, fresh) in held.items() if fresh}
             gone = self._delete_loop(state, lost, report)
             back = self._rederive(state, gone, report) if gone else {}
             for p, x in plus.items():
@@ -412,7 +450,11 @@ class Reasoner:
         cols = tuple((getattr(t, "name", f"c{n}"), kinds.get(getattr(t, "name", ""), "string")) for n, t in enumerate(rule.head.terms))
         here = self._round(self.state, {}, {}, RunReport("query", self.engine))
         here.counts = False
-        found = PlanRule(rule, cols).whole(here)
+        if self.engine in ("standard", "naive") or self.engine == "combined" and is_acyclic(rule):
+            found = PlanRule(rule, cols).whole(here)
+        else:  # bags are filled and reduced, and nothing is kept
+            types = {t.name: k for a in rule.body for t, k in zip(a.terms, self.schemas.types[a.pred]) if hasattr(t, "name")}
+            found = TreeRule(rule, cols, best_tree(rule, self.stats_), types, self.pivot_sweep, self.labels).whole(here)
         return self.spark.createDataFrame([], ", ".join(f"{c} {k}" for c, k in cols)) if found is None else found
 
     def why(self, pred: str, df: DataFrame) -> DataFrame:
@@ -483,7 +525,7 @@ class Reasoner:
         here = self._round(self.state, {}, {}, RunReport("verify", self.engine))
         for r in self.state.rules:
             if isinstance(r, TreeRule) and self.engine != "tree-naive":
-                for p in r.tree.nodes:
+                for p in r.kept:
                     names = r.bags[p].rows.names
                     want = r.fill(p, here)
                     if self.counts:
@@ -507,7 +549,7 @@ class Reasoner:
                 raise ValueError("derivations of a predicate with several rules are counted together; rebuild the state instead")
         new = self._engine(self._rule(name))
         here = self._round(state, {}, {}, RunReport("migrate", self.engine))
-        for p in new.tree.nodes:
+        for p in new.kept if isinstance(new, TreeRule) else ():
             rows = new.fill(p, here)
             if rows is not None:
                 path, fresh, _ = new._write(here, p, rows, "moved")

@@ -54,35 +54,27 @@ def _doc_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lines.where(F.length("line") >= 20).select("d", F.md5("line").alias("f"))
 
 
-def mentions(spark: SparkSession, sf_dir: str, width: int = 24) -> DataFrame:
-    """(document, benchmark item) where the text contains the item's. Both sides meet by a hash of
-    the item's first ``width`` characters at every place of the text where they may start (items
-    start at a letter, so only places at a word's start count), then ``contains`` decides. Items shorter than that use a length of their own."""
+def mentions(spark: SparkSession, sf_dir: str, tokens: int = 4, width: int = 24) -> DataFrame:
+    """(document, benchmark item) where the text contains the item's.
+
+    Between two spaces of an item stand whole tokens, which must be whole tokens of the text too. Both sides meet by a
+    hash of the item's first ``tokens`` such tokens (fewer if it has no more), which texts have one of for each token, and
+    ``contains`` decides. Items without such a token meet texts by their first ``width`` characters, at every character."""
     items = read(spark, sf_dir, "benchmark").where(F.length("text") > 0).select(*_long(("item_id", "i")), F.col("text").alias("item"))
     docs = read(spark, sf_dir, "documents").select(*_long(("doc_id", "d")), "text")
-    items = items.withColumn("w", F.least(F.length("item"), F.lit(width))).withColumn("h", F.xxhash64(F.expr("substring(item, 1, w)")))
-    widths = [r["w"] for r in items.select("w").distinct().collect()]  # at most `width` of them
-    found = None
-    for w in sorted(widths):
-        spots = F.expr(f"transform(sequence(1, greatest(length(text) - {w} + 1, 1)), p -> xxhash64(substring(text, p, {w})))")
-        own = items.where(F.col("w") == w)
-        keys = docs.select("d", F.explode(F.array_distinct(spots)).alias("h")).join(own.select("h", "i", "item"), "h")
-        found = keys if found is None else found.unionByName(keys)
-    if found is None:
-        return docs.select("d", F.lit(0).cast("bigint").alias("i")).limit(0)
-    return found.join(docs, "d").where(F.contains("text", "item")).select("d", "i")
-
-
-def mentions_small(spark: SparkSession, sf_dir: str, most: int = 100_000) -> DataFrame:
-    """As ``mentions``, by one pass over the documents with the items as an array; for a benchmark
-    whose size is checked first."""
-    items = read(spark, sf_dir, "benchmark").where(F.length("text") > 0)
-    if items.count() > most:
-        return mentions(spark, sf_dir)
-    held = items.agg(F.collect_list(F.struct(F.col("item_id").cast("bigint").alias("i"), F.col("text").alias("t"))).alias("items"))
-    docs = read(spark, sf_dir, "documents").select(*_long(("doc_id", "d")), "text")
-    hit = F.expr("transform(filter(items, x -> contains(text, x.t)), x -> x.i)")
-    return docs.join(F.broadcast(held)).select("d", F.explode(hit).alias("i"))
+    within = F.greatest(F.size(F.split("item", " ")) - 2, F.lit(0))
+    items = items.withColumn("t", F.least(within, F.lit(tokens))).withColumn("w", F.when(F.col("t") == 0, F.least(F.length("item"), F.lit(width))).otherwise(0))
+    items = items.withColumn("h", F.expr("CASE WHEN t > 0 THEN xxhash64(t, array_join(slice(split(item, ' '), 2, t), ' ')) ELSE xxhash64(-w, substring(item, 1, w)) END"))
+    kinds = items.select("t", "w").distinct().collect()  # at most `tokens` + `width` of them
+    found = docs.select("d", F.lit(0).cast("bigint").alias("i")).limit(0)
+    for t, w in sorted(tuple(k) for k in kinds):
+        if t:
+            spots = F.expr(f"transform(sequence(0, greatest(size(split(text, ' ')) - {t}, 0)), p -> xxhash64({t}, array_join(slice(split(text, ' '), p + 1, {t}), ' ')))")
+        else:
+            spots = F.expr(f"transform(sequence(1, greatest(length(text) - {w} + 1, 1)), p -> xxhash64(-{w}, substring(text, p, {w})))")
+        own = items.where((F.col("t") == t) & (F.col("w") == w)).select("h", "i")
+        found = found.unionByName(docs.select("d", F.explode(F.array_distinct(spots)).alias("h")).join(own, "h").select("d", "i"))
+    return found.distinct().join(items.select("i", "item"), "i").join(docs, "d").where(F.contains("text", "item")).select("d", "i")
 
 
 TABLES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
@@ -110,7 +102,7 @@ TABLES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "DocFrom": lambda s, d: read(s, d, "documents").select(*_long(("doc_id", "d")), F.col("source").alias("s")),
     "DocLang": lambda s, d: read(s, d, "documents").select(*_long(("doc_id", "d")), F.col("lang").alias("l")),
     "HasLine": _doc_lines,
-    "Mentions": mentions_small,
+    "Mentions": mentions,
     "Quality": lambda s, d: read(s, d, "labels").select(*_long(("doc_id", "d"), ("quality", "q"))),
     "Toxic": lambda s, d: read(s, d, "labels").select(*_long(("doc_id", "d"), ("toxic", "x"))),
     "InBucket": _sign_buckets,

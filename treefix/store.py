@@ -21,10 +21,12 @@ COUNT, FRESH = "n_", "fresh_"
 
 
 def work_dir(spark: SparkSession) -> str:
-    """The session's shared folder (``spark.checkpoint.dir``); one below /tmp only where none is set."""
+    """The session's shared folder (``spark.checkpoint.dir``); one below /tmp only where none is set and Spark runs in one process."""
     held = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir()
     if held:
         return held.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
     own = f"/tmp/treefix-checkpoints-{uuid.uuid4().hex}"
     spark.sparkContext.setCheckpointDir(own)
     return own
@@ -138,12 +140,43 @@ class Store:
         text = json.dumps(state)
         self.spark.createDataFrame([(text,)], "value string").coalesce(1).write.text(f"{self.path}/manifests/{len(state['history']):06d}-{uuid.uuid4().hex}")
 
-    def newest_manifest(self) -> dict:
+    def _listed(self, name: str) -> list[str]:
         jvm, conf = self.spark._jvm, self.spark._jsc.hadoopConfiguration()
-        top = jvm.org.apache.hadoop.fs.Path(f"{self.path}/manifests")
+        top = jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}")
         fs = top.getFileSystem(conf)
-        done = [s.getPath().toString() for s in fs.listStatus(top) if fs.exists(jvm.org.apache.hadoop.fs.Path(s.getPath(), "_SUCCESS"))]
-        return json.loads(self.spark.read.text(max(done)).first()["value"])
+        return sorted(s.getPath().toString() for s in fs.listStatus(top)) if fs.exists(top) else []
+
+    def _manifests(self) -> list[str]:
+        """Finished ones, oldest first."""
+        jvm, conf = self.spark._jvm, self.spark._jsc.hadoopConfiguration()
+        path = jvm.org.apache.hadoop.fs.Path
+        return [m for m in self._listed("manifests") if path(m).getFileSystem(conf).exists(path(m, "_SUCCESS"))]
+
+    def newest_manifest(self) -> dict:
+        return json.loads(self.spark.read.text(self._manifests()[-1]).first()["value"])
+
+    def clean(self, keep: int = 1) -> int:
+        """Removes all but the ``keep`` newest manifests, and the parts that none of those names: what compaction left behind,
+        failed updates, and parts that served within a round. Frames that were read from older states can't be evaluated any
+        more, so this is asked for, never done by the way. How many parts went."""
+        manifests = self._manifests()
+        kept = manifests[-keep:]
+        if not kept:
+            return 0
+        named = {p.rsplit("/", 1)[-1] for m in kept for p in _strings(json.loads(self.spark.read.text(m).first()["value"])) if "/parts/" in p}
+        jvm, conf = self.spark._jvm, self.spark._jsc.hadoopConfiguration()
+        gone = [p for p in self._listed("parts") if p.rsplit("/", 1)[-1] not in named]
+        for p in [*manifests[:-keep], *gone]:
+            path = jvm.org.apache.hadoop.fs.Path(p)
+            path.getFileSystem(conf).delete(path, True)
+        return len(gone)
+
+
+def _strings(value) -> list[str]:
+    if isinstance(value, str):
+        return [value]
+    inner = value.values() if isinstance(value, dict) else value if isinstance(value, list) else ()
+    return [s for v in inner for s in _strings(v)]
 
 
 def same(left: DataFrame, right: DataFrame, names: list[str]):

@@ -118,8 +118,8 @@ MOTIVATING = parse_program("M1: Match(x, y) <- Colleague(x, z1), Cosigner(x, z2)
 
 #: Explicit facts of derived predicates: predicate -> (table, columns of it)
 SEEDS = {"Linked": ("Forward_purchase", ("u", "v")), "Guarded": ("Forward_view", ("u", "v")), "Squared": ("Forward_view", ("u", "v")), "Petals": ("Forward_purchase", ("u", "v")), "TieChain": ("HasLabel", ("v", "v"))}
-#: C04 has an output near the square of its input and is left out of default sets
-HEAVY = ("C04",)
+#: Trees, and rows for each, of the generated expressions
+GENERATED = 300
 
 
 @dataclass
@@ -148,14 +148,12 @@ def rule(name: str) -> Rule:
 
 
 def workload(spark: SparkSession, sf_dir: str, which: str) -> Workload:
-    """``simple`` (98 rules), ``complex`` (15 of 16), ``mixed``, ``shapes`` (23), ``charge`` or ``generated`` (3)."""
-    light = Program(tuple(r for r in COMPLEX.rules if r.name not in HEAVY))
+    """``simple`` (98 rules), ``complex`` (16), ``mixed`` (114), ``shapes`` (23), ``flat`` (the 19 of them without recursion), ``charge`` or ``generated`` (3)."""
     if which in ("charge", "generated"):
         line, part = (tables.read(spark, sf_dir, t) for t in ("lineitem", "part"))
-        n = 30 if "sf0.001" in sf_dir else 300
-        held = generators.charge(line) if which == "charge" else generators.generated(line, part, n, n)[0]
+        held = generators.charge(line) if which == "charge" else generators.generated(line, part, GENERATED, GENERATED)[0]
         return Workload(EXPRESSIONS, held)
-    program = {"simple": lambda: simple_rules(constants(spark, sf_dir)), "complex": lambda: light, "mixed": lambda: simple_rules(constants(spark, sf_dir)) + light, "shapes": lambda: SHAPES}[which]()
+    program = {"simple": lambda: simple_rules(constants(spark, sf_dir)), "complex": lambda: COMPLEX, "mixed": lambda: simple_rules(constants(spark, sf_dir)) + COMPLEX, "shapes": lambda: SHAPES, "flat": lambda: Program(tuple(r for r in SHAPES.rules if r.head.pred not in SEEDS))}[which]()
     return Workload(program, inputs(spark, sf_dir, program))
 
 
