@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treefix.llm.shared import as_bytes, hot_join, hot_keys, rows_of, stage, tidied
+from treefix.llm.shared import as_bytes, hot_join, hot_keys, release, rows_of, stage, tidied
 
 SHINGLE, RADIUS = 4, 4
 BLOCKS = ((0, 11), (11, 11), (22, 11), (33, 11), (44, 10), (54, 10))
@@ -213,6 +213,8 @@ def components(links: DataFrame, ids: DataFrame) -> DataFrame:
     named = ids.select(F.col("fp").alias("b"), F.col("id").alias("b_id"))
     start = hot_join(both, named, "b").select("a", "b_id")
     edges = stage(hot_join(start, ids.select(F.col("fp").alias("a"), F.col("id").alias("a_id")), "a").select(F.col("a_id").alias("a"), F.col("b_id").alias("b")).distinct(), "links")
+    del both, named, start
+    release(edges.sparkSession)
     hubs = hot_keys(edges, "b")
     label = stage(edges.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("label")), "label")
     while True:
