@@ -32,7 +32,8 @@ from treefix.llm.shared import as_bytes, mixed, rows_of, tidied, word_hashes
 
 WINDOW, STRIDE, HIDDEN, WORD_DIM, CHAR_DIM, ATTENTION = 64, 32, 8, 6, 6, 8
 WORD_ROWS, GRAM_ROWS = 1 << 13, 1 << 14
-SAMPLE_ROWS, SAMPLE_BYTES, LEAST_STEPS, THRESHOLD, CACHE, LEAST_SEEN, RATE, PART = 1500, 24 << 20, 120, 0.7, 200_000, 4, 0.3, 20_000
+SAMPLE_ROWS, SAMPLE_BYTES, LEAST_STEPS, THRESHOLD, CACHE, LEAST_SEEN, RATE, PART = 1500, 24 << 20, 120, 0.7, 60_000, 4, 0.3, 20_000
+AT_ONCE = 500_000  # bytes of text that a worker splits into words together, besides one document
 INNER, PREFIXES, LONGEST = (3, 4, 5), (6, 7, 8, 9, 10), 1024
 _TABLE = bytes(c + 32 if 65 <= c <= 90 else c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in range(256))
 
@@ -471,7 +472,7 @@ def score_toxicity(docs: DataFrame, net: Network, text_col: str = "text", score_
                     texts.append(raw)
                     size += len(raw or b"")
                     at += 1
-                    if size > 2_000_000:
+                    if size > AT_ONCE:
                         break
                 part = batch.slice(start, at - start)
                 if drop_text:
